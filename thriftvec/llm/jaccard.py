@@ -30,7 +30,7 @@ FREQUENT = 1 << 17  # entries of the order's list of frequent n-grams
 MASK_WORDS = 16  # 64-bit words of a node's bit mask
 FRAGMENTS = 4
 CHUNK = 512  # nodes of one n-gram that one task compares with another chunk
-PARTNERS = 8  # candidates per node, n-gram and round
+PARTNERS = 8  # candidates per node and n-gram in the first round; 16 times as many in each further one
 
 
 def _grams(w: Words, k: int) -> list[np.ndarray]:
@@ -95,7 +95,7 @@ def _nodes(k: int, percent: int, order):
     return run
 
 
-def _partners(percent: int):
+def _partners(percent: int, most: int):
     """Rows sorted by (gram, i, j) -> candidate pairs of different components; more: a node had further partners."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("more", pa.bool_())])
 
@@ -123,7 +123,7 @@ def _partners(percent: int):
         a, b = a[o], b[o]
         start = np.flatnonzero(np.r_[True, a[1:] != a[:-1]])[: len(a)]
         place = np.arange(len(a)) - np.repeat(start, np.diff(np.r_[start, len(a)]))
-        keep = place < PARTNERS
+        keep = place < most
         over = np.zeros(len(n), bool)
         over[a[~keep]] = True
         a, b = a[keep], b[keep]
@@ -229,6 +229,8 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     comp: DataFrame | None = None
     segs: DataFrame | None = None
     links: DataFrame | None = None
+    tried: DataFrame | None = None
+    most = PARTNERS
     while True:
         r = tokens.join(facts, "node")
         r = r.withColumn("comp", F.col("node")) if comp is None else r.join(comp, "node", "left").withColumn("comp", F.coalesce("component", "node"))
@@ -238,8 +240,12 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         r = r.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
         r = r.select("gram", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "n", "comp", "mask", (F.col("mine") > F.col("other")).cast("int").alias("side"))
         r = r.repartition("gram", "i", "j").sortWithinPartitions("gram", "i", "j")
-        cand = r.mapInArrow(_partners(percent), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more"))
+        cand = r.mapInArrow(_partners(percent, most), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more"))
         cand = stored(cand)
+        more = cand.where("more").limit(1).count()
+        if tried is not None:
+            cand = cand.join(tried, ["a", "b"], "left_anti")
+        tried = cand.select("a", "b") if tried is None else tried.unionByName(cand.select("a", "b"))
         if segs is None:
             # later rounds look at nodes of this round's pairs only
             wanted = cand.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(reps, "node")
@@ -252,8 +258,9 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         good = good.where(F.lit(100) * F.col("c") >= F.lit(percent) * (F.col("na") + F.col("nb") - F.col("c"))).select("a", "b")
         links = stored(good if links is None else links.unionByName(good))
         comp = stored(components(links))
-        if not cand.where("more").limit(1).count():
+        if not more:
             break
+        most *= 16
     owner = known.where("doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("d"))
     least = owner.join(comp, "node", "left").withColumn("component", F.coalesce("component", "node"))
     low = least.groupBy("component").agg(F.min("d").alias("low"))
