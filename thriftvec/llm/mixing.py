@@ -113,7 +113,7 @@ def settle(p: np.ndarray, val: np.ndarray, size: np.ndarray, most: int = 4) -> n
 
 
 def _fly(land: bool, level: int, seed: int):
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key, pdf):
         pdf = pdf.sort_values(["doc_id", "size", "p"], ignore_index=True, kind="stable")
         pdf = pdf.sort_values("doc_id", key=lambda s: pd.util.hash_pandas_object(s, index=False), ignore_index=True, kind="stable")
         rng = np.random.default_rng(zlib.crc32(f"{seed}|{level}|{key}".encode()))

@@ -97,7 +97,7 @@ def best_fit_decreasing(lengths: np.ndarray, capacity: int = CAPACITY) -> tuple[
 
 
 def _pack(capacity: int, names: list[str]):
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key, pdf):
         pdf = pdf.sort_values("_uid", kind="stable", ignore_index=True)
         n = pdf["length"].to_numpy()
         bins, offsets = best_fit_decreasing(n, capacity)
@@ -148,7 +148,7 @@ def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
 def _with_bucket(capacity: int, names: list[str], round_no: int):
     pack = _pack(capacity, names)
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key, pdf):
         out = pack(key, pdf.drop(columns="_bucket"))
         out["sequence_id"] += (round_no << 60) | (int(key[0]) << 24)
         return out
