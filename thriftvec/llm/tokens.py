@@ -1,19 +1,24 @@
-"""Tokenizer ids of whole texts, exact and fast: spans between spaces are encoded once and looked up afterwards.
+"""Tokenizer ids of whole texts, exact and fast: recurring pieces of text are encoded once and looked up afterwards.
 
-A cut before a space that follows a non-blank never changes the ids of the tokenizers used here: none of their
-pre-tokens reaches from a non-blank into a following space. The table of known spans is bounded and starts anew when
-full; spans that are too long to recur are encoded as they come.
+Plain texts (Latin letters, no apostrophes) are cut around runs of letters, each with the one blank before it; the
+pre-tokens of the tokenizers used here never reach over such a cut. All other texts are cut only before a space that
+follows a non-blank, which holds for any text. Unknown runs of letters are encoded in one go as a single text, whose
+tokens show where each run starts (byte-level vocabularies) or ends (vocabularies with word ends). The table of known
+pieces is bounded; what doesn't fit, and pieces too long to recur, are encoded as they come.
 """
 
 from __future__ import annotations
 
 import os
 import re
+from itertools import chain, filterfalse
 
 import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
+_PLAIN = re.compile(r"\s?[^\W\d_]+|[\W\d_]+?(?=\s?[^\W\d_]|\Z)")
+_ODD = re.compile(r"[^\x00-\x26\x28-\x7f\xa1-\xac\xae-\xb1\xb4-\xb8\xba\xbb\xbf-įı-ɏ]")
 _SPANS = re.compile(r" *[^ ]+| +")
 _MIXED = re.compile(r"[^\S ] ")
 _EXACT = re.compile(r"(?<=\S)(?= )")
@@ -35,30 +40,52 @@ class SpanEncoder:
 
         self.tok = Tokenizer.from_file(path)
         self.tok.encode_special_tokens = True
+        vocab = self.tok.get_vocab()
+        self.edge = np.zeros(max(vocab.values(), default=0) + 1, bool)
+        self.ends = any(t.endswith("</w>") for t in vocab)
+        for t, i in vocab.items():
+            self.edge[i] = t.endswith("</w>") if self.ends else t.startswith("Ġ")
         self.known: dict[str, bytes] = {}
 
-    def spans(self, text: str) -> list[str]:
+    @staticmethod
+    def pieces(text: str) -> list[str]:
+        if not _ODD.search(text):
+            return _PLAIN.findall(text)
         return _EXACT.split(text) if _MIXED.search(text) else _SPANS.findall(text)
 
-    def _raw(self, spans: list[str]) -> list[bytes]:
-        return [np.asarray(e.ids, "<u4").tobytes() for e in self.tok.encode_batch(spans, add_special_tokens=False)]
+    def _raw(self, pieces: list[str]) -> list[bytes]:
+        return [np.asarray(e.ids, "<u4").tobytes() for e in self.tok.encode_batch_fast(pieces, add_special_tokens=False)]
+
+    def _words(self, words: list[str]) -> list[bytes]:
+        """Runs of plain letters after one space, all at once."""
+        ids = np.asarray(self.tok.encode_batch_fast(["".join(words)], add_special_tokens=False)[0].ids, "<u4")
+        at = np.flatnonzero(self.edge[ids])
+        if len(at) != len(words):
+            return self._raw(words)
+        cut = [0, *(at + 1).tolist()] if self.ends else [*at.tolist(), len(ids)]
+        raw = ids.tobytes()
+        return [raw[4 * a : 4 * b] for a, b in zip(cut[:-1], cut[1:], strict=True)]
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
-        cut = [self.spans(t) if t else [] for t in texts]
-        new = list({s for c in cut for s in c} - self.known.keys())
+        cut = [self.pieces(t) if t else [] for t in texts]
+        known = self.known
+        new = set(filterfalse(known.__contains__, chain.from_iterable(cut)))
+        words = [s for s in new if s[0] == " " and s[-1].isalpha() and not _ODD.search(s) and s[1:].isalpha() and len(s) <= 64]
+        rest = list(new.difference(words))
         extra: dict[str, bytes] = {}
-        if new:
-            if len(self.known) + len(new) > KNOWN:
-                self.known = {}
-                new = list({s for c in cut for s in c})
-            for a in range(0, len(new), 4096):
-                for s, x in zip(new[a : a + 4096], self._raw(new[a : a + 4096]), strict=True):
-                    (self.known if len(s) <= 64 else extra)[s] = x
+        room = KNOWN - len(self.known)
+        for group, encode in ((words, self._words), (rest, self._raw)):
+            for a in range(0, len(group), 2048):
+                part = group[a : a + 2048]
+                for s, x in zip(part, encode(part), strict=True):
+                    if room > 0 and len(s) <= 64:
+                        self.known[s] = x
+                        room -= 1
+                    else:
+                        extra[s] = x
         if extra:
-            look = {**extra}
-            get = lambda s: self.known.get(s) or look.get(s, b"")
-            return [b"".join(map(get, c)) for c in cut]
-        return [b"".join(map(self.known.__getitem__, c)) for c in cut]
+            return [b"".join([known[s] if s in known else extra[s] for s in c]) for c in cut]
+        return [b"".join(map(known.__getitem__, c)) for c in cut]
 
 
 def encoder(path: str) -> SpanEncoder:
