@@ -4,8 +4,8 @@ Counts of all ids give one code of at most 16 bits per id; canonical order makes
 Files hold independent blocks in ascending doc_id order. A block names its documents' lengths and holds the bit
 offset of every `STEP`-th token, so that decoding advances all of them in lock-step through one 65,536-entry table.
 
-At 100 TB: ids are never stored or shuffled uncoded (texts are, once, by ranges of doc_id); what reaches the driver is
-one count per vocabulary entry, which the vocabulary bounds. File totals are summed by a window over one row per file.
+At 100 TB: texts are tokenized once; ids of two bytes are written once and shuffled once, by ranges of doc_id; what
+reaches the driver is one count per vocabulary entry, which the vocabulary bounds. File totals are summed by a window over one row per file.
 
 File: blocks, each followed by one line feed. Block (little-endian): magic, then unsigned 32-bit numbers: bytes of
 the block, segments, tokens, checkpoints, payload bytes; per segment: doc_id (signed 64), tokens (unsigned 32), flags
@@ -125,12 +125,24 @@ def unpack_bits(parts: list[tuple[bytes, np.ndarray, int]], table: tuple[np.ndar
     return res
 
 
-def _counts(path: str):
+def _narrow(path: str):
+    """Texts -> ids as bytes, two for each id where the vocabulary allows it."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, total = encoder(path), np.zeros(1, np.int64)
+        enc = encoder(path)
+        kind = "<u2" if len(enc.edge) <= 1 << 16 else "<u4"
         for b in blocks(batches, "text"):
-            ids = np.frombuffer(b"".join(x + b"\0\0\0\0" for x in enc.encode(b.column("text").to_pylist())), "<u4")
-            c = np.bincount(ids, minlength=len(total))
+            ids = [np.frombuffer(x + b"\0\0\0\0", "<u4").astype(kind).tobytes() for x in enc.encode(b.column("text").to_pylist())]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(ids, pa.binary())], names=["doc_id", "ids"])
+
+    return run
+
+
+def _counts(kind: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(1, np.int64)
+        for b in blocks(batches, "ids"):
+            c = np.bincount(np.frombuffer(b"".join(b.column("ids").to_pylist()), kind), minlength=len(total))
             c[: len(total)] += total
             total = c
         at = np.flatnonzero(total)
@@ -139,7 +151,7 @@ def _counts(path: str):
     return run
 
 
-def _blocks(path: str, lengths: dict[int, int]):
+def _blocks(kind: str, lengths: dict[int, int]):
     schema = pa.schema([("block", pa.binary())])
 
     def make(segments: list[tuple[int, int, int]], ids: np.ndarray, code: np.ndarray, bits: np.ndarray) -> bytes:
@@ -148,14 +160,14 @@ def _blocks(path: str, lengths: dict[int, int]):
         return struct.pack(HEAD, MAGIC, HEAD_SIZE + len(body), len(segments), len(ids), len(marks), len(payload)) + body
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, (code, bits) = encoder(path), canonical(lengths)
+        code, bits = canonical(lengths)
         segments: list[tuple[int, int, int]] = []
         held: list[np.ndarray] = []
         n = 0
-        for b in blocks(batches, "text"):
+        for b in blocks(batches, "ids"):
             made = []
-            for d, x in zip(b.column("doc_id").to_pylist(), enc.encode(b.column("text").to_pylist()), strict=True):
-                ids = np.frombuffer(x + b"\0\0\0\0", "<u4")
+            for d, x in zip(b.column("doc_id").to_pylist(), b.column("ids").to_pylist(), strict=True):
+                ids = np.frombuffer(x, kind)
                 a = 0
                 while a < len(ids):
                     part = ids[a : a + BLOCK_TOKENS - n]
@@ -183,12 +195,14 @@ def write_tokens(docs: DataFrame, folder: str, vocabulary: str | None = None) ->
     spark = docs.sparkSession
     path = vocabulary or default_path("byte_bpe_50k.json")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    counts = {r["id"]: r["c"] for r in docs.select("doc_id", "text").mapInArrow(_counts(path), "id long, c long").groupBy("id").agg(F.sum("c").alias("c")).collect()}
+    ids = stored(docs.mapInArrow(_narrow(path), "doc_id long, ids binary"))
+    kind = "<u2" if len(encoder(path).edge) <= 1 << 16 else "<u4"
+    counts = {r["id"]: r["c"] for r in ids.select("ids").mapInArrow(_counts(kind), "id long, c long").groupBy("id").agg(F.sum("c").alias("c")).collect()}
     lengths = code_lengths(counts)
     spark.createDataFrame([(int(s), int(n)) for s, n in lengths.items()], "id long, length int").coalesce(1).write.parquet(f"{folder}/code.parquet")
     files = max(1, -(-sum(counts.values()) // FILE_TOKENS))
-    ordered = docs.repartitionByRange(files, "doc_id").sortWithinPartitions("doc_id")
-    made = ordered.mapInArrow(_blocks(path, lengths), "block binary")
+    ordered = ids.repartitionByRange(files, "doc_id").sortWithinPartitions("doc_id")
+    made = ordered.mapInArrow(_blocks(kind, lengths), "block binary")
     # the text writer puts a string's bytes out as they are, one line feed after each
     made.select(F.col("block").cast("string").alias("value")).write.option("compression", "none").text(f"{folder}/blocks")
 
