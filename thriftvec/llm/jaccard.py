@@ -27,7 +27,8 @@ from .components import components
 from .words import Words, blocks, mix, run_hash
 
 FREQUENT = 1 << 17  # entries of the order's list of frequent n-grams
-MASK_WORDS = 16  # 64-bit words of a node's bit mask
+MASK_WORDS = 16  # 64-bit words of a node's parity mask
+WIDE_WORDS, WIDE_FROM = 128, 1500  # of the second mask, for sets of more n-grams than that
 FRAGMENTS = 4
 CHUNK = 512  # nodes of one n-gram that one task compares with another chunk
 PARTNERS = 8  # candidates per node and n-gram in the first round; 16 times as many in each further one
@@ -65,21 +66,38 @@ def _signature(u: np.ndarray) -> int:
     return int(mix(np.array([np.add.reduce(mix(u ^ np.uint64(0xA5A5A5A5))) + np.uint64(len(u))], np.uint64)).view(np.int64)[0])
 
 
+def _parity(u: np.ndarray, words: int) -> bytes:
+    """Parities of hash buckets: two sets differ in at least as many n-grams as their parities in bits."""
+    return np.packbits((np.bincount((u >> np.uint64(7)).astype(np.int64) % (words * 64), minlength=words * 64) & 1).astype(np.uint8)).tobytes()
+
+
+def _wide(percent: int):
+    """(a, b, na, nb, x, y) -> (a, b) of pairs that the wide masks don't rule out."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint64).reshape(-1, WIDE_WORDS) for c in ("x", "y"))
+            d = np.bitwise_count(x ^ y).sum(1, dtype=np.int64)
+            n = b.column("na").to_numpy() + b.column("nb").to_numpy()
+            yield b.select(["a", "b"]).filter(pa.array(d * (100 + percent) <= n * (100 - percent)))
+
+    return run
+
+
 def _nodes(k: int, percent: int, order):
-    schema = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("node", pa.int64()), ("mask", pa.binary()), ("prefix", pa.list_(pa.int64()))])
+    schema = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("node", pa.int64()), ("mask", pa.binary()), ("prefix", pa.list_(pa.int64())), ("wide", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         top, rank = order.value
         for b in blocks(batches, "text"):
             sets = _grams(Words(b.column("text"), lower=True), k)
-            ns, nodes, masks, prefixes = [], [], [], []
+            ns, nodes, masks, prefixes, wide = [], [], [], [], []
             for u in sets:
                 n = len(u)
                 ns.append(n)
                 nodes.append(_signature(u) if n else None)
-                bits = np.zeros(MASK_WORDS * 64, np.uint8)
-                bits[(u >> np.uint64(7)) % np.uint64(MASK_WORDS * 64)] = 1
-                masks.append(np.packbits(bits).tobytes())
+                masks.append(_parity(u, MASK_WORDS))
+                wide.append(_parity(u, WIDE_WORDS) if n > WIDE_FROM else None)
                 length = n - (percent * n + 99) // 100 + 1 if n else 0
                 if len(top) and n > length:
                     at = np.searchsorted(top, u)
@@ -90,7 +108,7 @@ def _nodes(k: int, percent: int, order):
                     prefixes.append(u[:length].view(np.int64))
             off = np.cumsum([0, *map(len, prefixes)])
             flat = np.concatenate([np.empty(0, np.int64), *prefixes])
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(ns, pa.int64()), pa.array(nodes, pa.int64()), pa.array(masks, pa.binary()), pa.ListArray.from_arrays(pa.array(off, pa.int32()), pa.array(flat))], schema=schema)
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(ns, pa.int64()), pa.array(nodes, pa.int64()), pa.array(masks, pa.binary()), pa.ListArray.from_arrays(pa.array(off, pa.int32()), pa.array(flat)), pa.array(wide, pa.binary())], schema=schema)
 
     return run
 
@@ -218,9 +236,9 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     o = np.argsort(gram)
     order = spark.sparkContext.broadcast((gram[o], c[o]))
 
-    known = stored(docs.mapInArrow(_nodes(k, percent, order), "doc_id long, n long, node long, mask binary, prefix array<long>"))
+    known = stored(docs.mapInArrow(_nodes(k, percent, order), "doc_id long, n long, node long, mask binary, prefix array<long>, wide binary"))
     reps = known.where("node is not null and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    one = known.join(reps, ["node", "doc_id"]).dropDuplicates(["node"])
+    one = stored(known.join(reps, ["node", "doc_id"]).dropDuplicates(["node"]))
     tokens = one.select("node", F.explode("prefix").alias("gram"))
     often = tokens.groupBy("gram").agg(F.count("*").alias("c")).where("c > 1")
     tokens = stored(tokens.join(often, "gram").select("gram", "node", F.ceil(F.col("c") / CHUNK).cast("int").alias("k")))
@@ -245,6 +263,11 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         more = cand.where("more").limit(1).count()
         if tried is not None:
             cand = cand.join(tried, ["a", "b"], "left_anti")
+        large = one.where(F.col("wide").isNotNull()).select("node", "n", "wide")
+        both = cand.select("a", "b").join(large.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("wide").alias("x")), "a", "left")
+        both = both.join(large.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("wide").alias("y")), "b", "left")
+        short = both.where("x is null or y is null").select("a", "b")
+        cand = stored(short.unionByName(both.where("x is not null and y is not null").mapInArrow(_wide(percent), "a long, b long")))
         tried = cand.select("a", "b") if tried is None else tried.unionByName(cand.select("a", "b"))
         if segs is None:
             # later rounds look at nodes of this round's pairs only

@@ -22,7 +22,7 @@ _ODD = re.compile(r"[^\x00-\x26\x28-\x7f\xa1-\xac\xae-\xb1\xb4-\xb8\xba\xbb\xbf-
 _SPANS = re.compile(r" *[^ ]+| +")
 _MIXED = re.compile(r"[^\S ] ")
 _EXACT = re.compile(r"(?<=\S)(?= )")
-KNOWN = 1 << 19
+KNOWN = 1 << 20
 _open: dict[str, SpanEncoder] = {}
 
 
@@ -49,7 +49,7 @@ class SpanEncoder:
 
     @staticmethod
     def pieces(text: str) -> list[str]:
-        if not _ODD.search(text):
+        if (text.isascii() and "'" not in text) or not _ODD.search(text):
             return _PLAIN.findall(text)
         return _EXACT.split(text) if _MIXED.search(text) else _SPANS.findall(text)
 
