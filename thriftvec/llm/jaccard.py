@@ -31,7 +31,7 @@ MASK_WORDS = 16  # 64-bit words of a node's parity mask
 WIDE_WORDS, WIDE_FROM = 128, 1500  # of the second mask, for sets of more n-grams than that
 FRAGMENTS = 4
 CHUNK = 512  # nodes of one n-gram that one task compares with another chunk
-PARTNERS = 8  # candidates per node and n-gram in the first round; 16 times as many in each further one
+PARTNERS = 2  # candidates per node and n-gram in the first round; 16 times as many in each further one
 
 
 def _grams(w: Words, k: int) -> list[np.ndarray]:
@@ -53,7 +53,7 @@ def _frequent(k: int, least: int):
     schema = pa.schema([("gram", pa.int64()), ("c", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in blocks(batches, "text", 8 << 20):
+        for b in blocks(batches, "text", 4 << 20):
             g = _grams(Words(b.column("text"), lower=True), k)
             u, c = np.unique(np.concatenate(g), return_counts=True) if g else (np.empty(0, np.uint64), np.empty(0, int))
             keep = c >= least
@@ -114,8 +114,9 @@ def _nodes(k: int, percent: int, order):
 
 
 def _partners(percent: int, most: int):
-    """Rows sorted by (gram, i, j) -> candidate pairs of different components; more: a node had further partners."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("more", pa.bool_())])
+    """Rows sorted by (gram, i, j) -> candidate pairs of different components; a row with a gram only says that nodes
+    of that n-gram had further partners."""
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("gram", pa.int64())])
 
     def pairs(t: dict[str, np.ndarray], left: np.ndarray, right: np.ndarray, same: bool) -> tuple:
         n, comp, node, mask = t["n"], t["comp"], t["node"], t["mask"]
@@ -142,10 +143,9 @@ def _partners(percent: int, most: int):
         start = np.flatnonzero(np.r_[True, a[1:] != a[:-1]])[: len(a)]
         place = np.arange(len(a)) - np.repeat(start, np.diff(np.r_[start, len(a)]))
         keep = place < most
-        over = np.zeros(len(n), bool)
-        over[a[~keep]] = True
+        more = not keep.all()
         a, b = a[keep], b[keep]
-        return np.minimum(node[a], node[b]), np.maximum(node[a], node[b]), over[a]
+        return np.minimum(node[a], node[b]), np.maximum(node[a], node[b]), more
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rest = None
@@ -165,12 +165,15 @@ def _partners(percent: int, most: int):
                     all_rows = np.arange(e - s)
                     left, right = (all_rows, all_rows) if same else (all_rows[part["side"] == 0], all_rows[part["side"] == 1])
                     if got := pairs(part, left, right, same):
-                        yield got
+                        yield got[0], got[1], g[0, s] if got[2] else None
 
         def emit(tab):
             got = list(groups(tab))
             if got:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*got, strict=True)], schema=schema)
+                more = sorted({int(x) for _, _, x in got if x is not None})
+                a, b = (np.concatenate([x[i] for x in got]) for i in (0, 1))
+                pad = pa.nulls(len(more), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.concat_arrays([pa.array(a), pad]), pa.concat_arrays([pa.array(b), pad]), pa.concat_arrays([pa.nulls(len(a), pa.int64()), pa.array(more, pa.int64())])], schema=schema)
 
         for b in batches:
             tab = pa.Table.from_batches([b]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([b])])
@@ -258,9 +261,11 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         r = r.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
         r = r.select("gram", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "node", "n", "comp", "mask", (F.col("mine") > F.col("other")).cast("int").alias("side"))
         r = r.repartition("gram", "i", "j").sortWithinPartitions("gram", "i", "j")
-        cand = r.mapInArrow(_partners(percent, most), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more"))
-        cand = stored(cand)
-        more = cand.where("more").limit(1).count()
+        found = stored(r.mapInArrow(_partners(percent, most), "a long, b long, gram long"))
+        cand = found.where("a is not null").select("a", "b").distinct()
+        # n-grams whose nodes had more partners than the limit come again, the others are done
+        again = stored(found.where("a is null").select("gram").distinct())
+        more = again.limit(1).count()
         if tried is not None:
             cand = cand.join(tried, ["a", "b"], "left_anti")
         large = one.where(F.col("wide").isNotNull()).select("node", "n", "wide")
@@ -284,6 +289,7 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         if not more:
             break
         most *= 16
+        tokens = stored(tokens.join(again, "gram", "left_semi"))
     owner = known.where("doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("d"))
     least = owner.join(comp, "node", "left").withColumn("component", F.coalesce("component", "node"))
     low = least.groupBy("component").agg(F.min("d").alias("low"))

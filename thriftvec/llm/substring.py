@@ -108,12 +108,14 @@ def repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 
     probes = docs.mapInArrow(_probe(block, gram), "key long, doc_id long, anchor boolean")
     live = probes.groupBy("key").agg(F.min(F.when(F.col("anchor"), F.col("doc_id"))).alias("ref"), F.max("doc_id").alias("far")).where("ref < far").select("key")
+    live = stored(live)  # apart from the join, so that hot keys can be split there
     lists = probes.select("key", "doc_id").join(live, "key").groupBy("doc_id").agg(F.collect_set("key").alias("keys"))
     # whole copies are decided by their md5; the smallest of them stands for all
     alone = copies.join(ids.groupBy("doc_id").agg(F.count("*").alias("texts")).where("texts = 1"), "doc_id").select("doc_id")
     near = stored(docs.join(lists.join(alone, "doc_id", "left_anti"), "doc_id"))
     runs = near.mapInArrow(_windows(window, block, gram), "w long, w2 int, doc_id long")
     owner = runs.groupBy("w", "w2").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).where("least < most").select("w", "w2", "least")
+    owner = stored(owner)
     gone = runs.join(owner, ["w", "w2"]).where("doc_id > least").groupBy("doc_id").agg(F.collect_set("w").alias("gone"))
     return ids.join(copies, ["doc_id", "th"], "left").join(gone, "doc_id", "left").where("copy or gone is not null").select("doc_id", "th", F.coalesce("copy", F.lit(False)).alias("copy"), "gone")
 

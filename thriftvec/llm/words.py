@@ -13,6 +13,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 BLOCK_BYTES = 1 << 20
+HASH_BYTES = 1 << 18  # text hashed at once; bounds the tables of powers
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -43,7 +44,7 @@ def _pow(base: np.uint64, n: int) -> tuple[np.ndarray, np.ndarray]:
             a[0] = 1
             made.append(np.cumprod(a))
         have = (made[0], made[1])
-        if size <= 1 << 23:
+        if size <= 1 << 20:
             _powers[key] = have
     return have
 
@@ -54,7 +55,7 @@ def run_hash(h: np.ndarray, k: int) -> np.ndarray:
     if n <= 0:
         return np.empty(0, np.uint64)
     out = np.empty(n, np.uint64)
-    step = 1 << 20
+    step = 1 << 17
     up, down = _pow(_Q, min(len(h), step + k) + 1)
     for a in range(0, n, step):
         part = h[a : min(a + step, n) + k - 1]
@@ -92,7 +93,7 @@ class Words:
         i, n = 0, len(out)
         while i < n:
             base = self.start[i]
-            j = max(i + 1, int(np.searchsorted(self.end, base + BLOCK_BYTES, "right")))
+            j = max(i + 1, int(np.searchsorted(self.end, base + HASH_BYTES, "right")))
             part = data[base : self.end[j - 1]]
             up, down = _pow(_P, len(part) + 1)
             c = np.zeros(len(part) + 1, np.uint64)
