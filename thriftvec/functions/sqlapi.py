@@ -8,18 +8,15 @@ from pyspark.sql import functions as F
 
 def register(spark: SparkSession) -> None:
     """l2sq, dot_product, vec_mean (aggregate) and vec_knn (table function) for SQL."""
-    import pandas as pd
-
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION l2sq(a ARRAY<FLOAT>, b ARRAY<FLOAT>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> (double(x) - double(y)) * (double(x) - double(y))), 0D, (s, v) -> s + v)")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION dot_product(a ARRAY<FLOAT>, b ARRAY<FLOAT>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> double(x) * double(y)), 0D, (s, v) -> s + v)")
 
-    @F.pandas_udf("array<double>")
-    def vec_mean(v: pd.Series) -> list:
+    def mean(v):
         import numpy as np
 
         return np.mean(np.array(v.tolist(), float), axis=0).tolist()
 
-    spark.udf.register("vec_mean", vec_mean)
+    spark.udf.register("vec_mean", F.pandas_udf(mean, "array<double>", F.PandasUDFType.GROUPED_AGG))
 
     @F.udtf(returnType="query_id: bigint, rank: int, node_id: bigint, dist: double")
     class VecKnn:

@@ -167,7 +167,9 @@ class VectorIndex:
             res = res.join(self.objects.where(predicate).select("node_id"), "node_id", "left_semi")
         if buffer is not None:
             extra = knn_exact(encode(buffer, enc, "node_id"), queries, s.k, s.metric).select("query_id", "node_id", "dist")
-            res = res.select("query_id", "node_id", "dist").unionByName(extra).groupBy("query_id", "node_id").agg(F.min("dist").alias("dist"))
+            res = res.select("query_id", "node_id", "dist").unionByName(extra)
+            # the two sides sum in different orders: equal vectors must tie
+            res = res.groupBy("query_id", "node_id").agg(F.min(F.round("dist", 9)).alias("dist"))
         stats = out.where("kind = 's'").groupBy("query_id").agg(F.sum("step").alias("n_steps"), F.sum("a").alias("n_exact"), F.sum("b").alias("n_batches"), F.sum("c").alias("n_encoded"))
         trace = out.where("kind = 't'").select("query_id", "step", "node_id", F.col("a").alias("n_approx"), F.col("b").alias("n_exact"), F.col("c").alias("batch_id")) if return_trace else None
         return Found(top_k(res.select("query_id", "node_id", "dist"), s.k), stats, trace)

@@ -1,0 +1,181 @@
+"""Queries on graph search: limiting cases equal to exact search, and working points on the chunks."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from ..catalog import query
+from ..functions.encoders import Encoder, encode
+from ..operators.clusters import ivf_recompute_search, kmeans_fixed, nearest_cells, to_float
+from ..operators.exact import knn_exact
+from ..operators.graphs import access_hist
+from ..operators.search import VectorIndex
+from ..operators.updates import MODES, insert_batch
+from ..sources.storage import stored
+from .inputs import VECTORS, bench_queries, objects, rounded, sql_l2, sql_top, vec_base, vec_query
+from .q_vectors import KNN, _ivf_sql
+
+_built: dict = {}
+
+
+def once(spark, key: tuple, make):
+    """A value kept for the session: indexes are built once per input."""
+    full = (spark.sparkContext.applicationId, *key)
+    if full not in _built:
+        _built[full] = make()
+    return _built[full]
+
+
+def vector_index(spark, d) -> VectorIndex:
+    """Index over the opaque vectors: the encoder looks each one up."""
+
+    def make():
+        b = vec_base(spark, d)
+        obj = stored(b.select("node_id", F.array_join(F.transform("v", lambda x: x.cast("string")), ",").alias("text"), "label"))
+        return VectorIndex.build(obj, Encoder("lookup", 64), k=10, prune=False, pq_ratio=32, ks=16, keep_vectors=True)
+
+    return once(spark, ("vectors", d), make)
+
+
+def chunk_index(spark, d, **more) -> VectorIndex:
+    return once(spark, ("chunks", d, *sorted(more.items())), lambda: VectorIndex.build(stored(objects(spark, d)), "hash_unit:256", **({"k": 9} | more)))
+
+
+def bench_vectors(spark, d):
+    return once(spark, ("bench", d), lambda: stored(encode(bench_queries(spark, d), Encoder("hash_unit", 256), "query_id").withColumnRenamed("v", "qv")))
+
+
+def chunk_truth(spark, d, k: int = 3):
+    def make():
+        i = chunk_index(spark, d)
+        return stored(knn_exact(encode(i.objects, i.encoder, "node_id"), bench_vectors(spark, d), k))
+
+    return once(spark, ("truth", d, k), make)
+
+
+def _full(spark, d, **spec):
+    i = vector_index(spark, d)
+    n = i.objects.count()
+    return rounded(i.search(vec_query(spark, d), k=10, ef=n, **spec).result, "dist")
+
+
+@query("best_first_full", KNN)
+def best_first_full(spark, d):
+    return _full(spark, d, mode="stored")
+
+
+@query("recompute_full", KNN)
+def recompute_full(spark, d):
+    return _full(spark, d, mode="recompute", batch_target=None)
+
+
+@query("interleaved_full_alpha", KNN)
+def interleaved_full_alpha(spark, d):
+    return _full(spark, d, mode="interleaved", alpha=1.0, batch_target=None)
+
+
+@query("batched_full", KNN)
+def batched_full(spark, d):
+    return _full(spark, d, mode="interleaved", alpha=1.0, batch_target=64)
+
+
+@query("traverse_rerank_full", KNN)
+def traverse_rerank_full(spark, d):
+    return _full(spark, d, mode="rerank", rerank_n=100_000)
+
+
+@query("sharded_full", KNN)
+def sharded_full(spark, d):
+    return _full(spark, d, mode="stored", executor="sharded")
+
+
+@query("search_cached", KNN)
+def search_cached(spark, d):
+    i = vector_index(spark, d)
+    return _full(spark, d, mode="recompute", cache=i.with_cache(64 * 4 * 50))
+
+
+@query("search_deleted", f"WITH {VECTORS}, d AS (SELECT query_id, node_id, {sql_l2()} AS dist FROM b, q WHERE node_id % 7 <> 0) {sql_top('d', 10)}")
+def search_deleted(spark, d):
+    return _full(spark, d, mode="recompute", deleted=vec_base(spark, d).where("node_id % 7 = 0"))
+
+
+@query("search_predicate", f"WITH {VECTORS}, d AS (SELECT query_id, node_id, {sql_l2()} AS dist FROM b, q WHERE label = 3) {sql_top('d', 10)}")
+def search_predicate(spark, d):
+    return _full(spark, d, mode="recompute", predicate=F.col("label") == 3)
+
+
+@query("search_buffered", f"WITH {VECTORS}, a AS (SELECT node_id, v FROM b UNION ALL SELECT vec_id + 1000000, v FROM e WHERE vec_id % 10 = 5), d AS (SELECT query_id, node_id, {sql_l2()} AS dist FROM a, q) {sql_top('d', 10)}")
+def search_buffered(spark, d):
+    extra = vec_base(spark, d).where("node_id % 10 = 5").select((F.col("node_id") + 1_000_000).alias("node_id"), F.array_join(F.transform("v", lambda x: x.cast("string")), ",").alias("text"))
+    return _full(spark, d, mode="recompute", buffer=extra)
+
+
+@query("ivf_recompute", _ivf_sql(4))
+def ivf_recompute(spark, d):
+    i = vector_index(spark, d)
+    c = stored(to_float(kmeans_fixed(vec_base(spark, d), 16, 2)))
+    cells = nearest_cells(vec_base(spark, d).select("node_id", "v"), c, 1).select("node_id", "cell")
+    return rounded(ivf_recompute_search(cells, c, i.objects, i.encoder, vec_query(spark, d), 10, 4)[0], "dist")
+
+
+@query("best_first_ef")
+def best_first_ef(spark, d):
+    return rounded(chunk_index(spark, d).search(bench_vectors(spark, d), k=3, ef=60, mode="recompute", batch_target=None).result, "dist")
+
+
+@query("interleaved_alpha")
+def interleaved_alpha(spark, d):
+    f = chunk_index(spark, d).search(bench_vectors(spark, d), k=3, ef=60, alpha=0.3, batch_target=64)
+    return rounded(f.result.join(f.stats.select("query_id", F.col("n_encoded").alias("n_recomputed"), "n_batches"), "query_id"), "dist")
+
+
+@query("pq_graph_search")
+def pq_graph_search(spark, d):
+    return rounded(chunk_index(spark, d).search(bench_vectors(spark, d), k=3, ef=60, mode="pq").result, "dist")
+
+
+@query("sharded_build_search")
+def sharded_build_search(spark, d):
+    i = chunk_index(spark, d, shards=4)
+    return rounded(i.search(bench_vectors(spark, d), k=3, ef=60, alpha=0.5, nprobe=4, executor="sharded").result, "dist")
+
+
+@query("frontier_search")
+def frontier_search(spark, d):
+    from .frontier import search
+
+    i = chunk_index(spark, d)
+    return rounded(search(i, bench_vectors(spark, d), k=3, ef=20, alpha=0.5).result, "dist")
+
+
+@query("access_hist")
+def access(spark, d):
+    i = chunk_index(spark, d)
+    f = i.search(bench_vectors(spark, d), k=3, ef=60, alpha=0.3, return_trace=True)
+    return access_hist(f.trace, i.edges, bench_vectors(spark, d).count())
+
+
+@query("insert_ledger")
+def insert_ledger(spark, d):
+    i = chunk_index(spark, d)
+    new = stored(i.objects.where("node_id % 97 = 0").select(F.lit(0).alias("shard"), "node_id", "text"))
+    old = stored(i.rows(None).where("node_id % 97 <> 0").select("shard", "node_id", "text", "nbrs"))
+    out = None
+    for mode in MODES:
+        led = insert_batch(old, new, i.encoder, cap=18, ef=30, mode=mode)[1]
+        r = led.agg(F.count("*").alias("inserts"), F.sum("encodes").alias("encodes"), F.sum("cheap").alias("cheap")).withColumn("mode", F.lit(mode))
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
+@query("sql_udtf_knn", KNN)
+def sql_udtf_knn(spark, d):
+    from ..functions.sqlapi import register
+    from ..sources.storage import shared_folder
+
+    register(spark)
+    path = shared_folder(spark)
+    vec_base(spark, d).select("node_id", "v").write.parquet(path)
+    vec_query(spark, d).select(F.col("query_id"), F.col("qv").cast("array<double>").alias("qv")).createOrReplaceTempView("thriftvec_queries")
+    return rounded(spark.sql(f"SELECT k.query_id, k.rank, k.node_id, k.dist FROM thriftvec_queries q, LATERAL vec_knn(q.query_id, q.qv, '{path}', 10) k"), "dist")
