@@ -26,8 +26,8 @@ from .common import stored
 from .components import components
 
 BLOCKS = 4
-AXES = 3  # coordinates of a block that its cells are cut along
-CHUNK = 2048
+AXES = 2  # coordinates of a block that its cells are cut along
+CHUNK = 16384
 ROOM = 1e-6  # widening of each share, far above rounding
 
 
@@ -71,7 +71,7 @@ def rotation(vectors: DataFrame, dim: int) -> np.ndarray:
     return np.concatenate([axes[:, k::BLOCKS] for k in range(BLOCKS)], axis=1)
 
 
-def _cells(dim: int, turn: np.ndarray, share: float):
+def _cells(dim: int, turn: np.ndarray, share: float, kind: str):
     """Rows of (block, cell): the own cell, and the neighbours above it in lexicographic order, of each vector."""
     schema = pa.schema([("block", pa.int32()), ("cell", pa.int64()), ("home", pa.bool_()), ("node", pa.int64()), ("m", pa.int64()), ("v", pa.binary())])
     near = [d for d in np.ndindex(*[3] * AXES)]
@@ -84,7 +84,7 @@ def _cells(dim: int, turn: np.ndarray, share: float):
             if not len(rows):
                 continue
             t = (x / norm[:, None]) @ turn
-            raw = [v.tobytes() for v in x]
+            raw = [v.tobytes() for v in x.astype(kind)]
             node = b.column("node").to_numpy()[rows]
             m = b.column("m").to_numpy()[rows]
             at = 0
@@ -95,19 +95,19 @@ def _cells(dim: int, turn: np.ndarray, share: float):
                 if g.shape[1] < AXES:
                     g = np.pad(g, ((0, 0), (0, AXES - g.shape[1])))
                 for d in [np.zeros(AXES, np.int64), *ahead]:
-                    c = ((g + d) * np.array([1 << 40, 1 << 20, 1])).sum(1)
+                    c = ((g + d) * np.array([1 << (20 * i) for i in range(AXES)])).sum(1)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), k), pa.int32()), pa.array(c), pa.array(np.full(len(rows), not d.any())), pa.array(node), pa.array(m), pa.array(raw, pa.binary())], schema=schema)
 
     return run
 
 
-def _join(dim: int, turn: np.ndarray, share: float, cosine: float):
+def _join(dim: int, turn: np.ndarray, share: float, cosine: float, kind: str):
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("n", pa.int64())])
     edges = np.cumsum([0, *(len(range(k, dim, BLOCKS)) for k in range(BLOCKS))])
 
     def compare(block: int, left: pa.Table, right: pa.Table, same: bool):
         def load(t):
-            x = np.frombuffer(b"".join(t.column("v").to_pylist()), np.float64).reshape(-1, dim)
+            x = np.frombuffer(b"".join(t.column("v").to_pylist()), kind).astype(np.float64).reshape(-1, dim)
             u = x / np.sqrt((x * x).sum(1))[:, None]
             return x, u @ turn, t.column("node").to_numpy(), t.column("m").to_numpy()
 
@@ -123,8 +123,8 @@ def _join(dim: int, turn: np.ndarray, share: float, cosine: float):
             return v
 
         pairs = []
-        for s in range(0, len(lt), 512):
-            part = lt[s : s + 512]
+        for s in range(0, len(lt), 128):
+            part = lt[s : s + 128]
             a, z = edges[block], edges[block + 1]
             d = (part[:, a:z] ** 2).sum(1)[:, None] + (rt[:, a:z] ** 2).sum(1)[None, :] - 2 * part[:, a:z] @ rt[:, a:z].T
             ok = d <= share + ROOM
@@ -185,6 +185,8 @@ def near_duplicates(vectors: DataFrame, cosine: float = 0.9) -> DataFrame:
     components link with nothing, as do vectors of a length other than the most common one's. Equal vectors link with
     each other. Rows without vec_id link with nothing and have no component. An empty table gives an empty result.
     """
+    # single-precision input travels as such: doubles made of it are the same numbers
+    kind = "<f4" if vectors.schema["embedding"].dataType.simpleString() == "array<float>" else "<f8"
     vectors = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
     sized = vectors.where("vec_id is not null and embedding is not null")
     dim = sized.groupBy(F.size("embedding").alias("d")).count().orderBy(F.desc("count"), "d").first()
@@ -198,12 +200,12 @@ def near_duplicates(vectors: DataFrame, cosine: float = 0.9) -> DataFrame:
     if dim and nodes.limit(1).count():
         turn = rotation(nodes.select("embedding"), dim)
         share = (2 - 2 * cosine) / BLOCKS
-        cells = nodes.select("node", "m", "embedding").mapInArrow(_cells(dim, turn, share), "block int, cell long, home boolean, node long, m long, v binary")
-        sizes = nodes.select("node", "m", "embedding").mapInArrow(_cells(dim, turn, share), "block int, cell long, home boolean, node long, m long, v binary").groupBy("block", "cell").agg(F.count("*").alias("c"), F.max("home").alias("any"))
+        cells = nodes.select("node", "m", "embedding").mapInArrow(_cells(dim, turn, share, kind), "block int, cell long, home boolean, node long, m long, v binary")
+        sizes = nodes.select("node", "m", "embedding").mapInArrow(_cells(dim, turn, share, kind), "block int, cell long, home boolean, node long, m long, v binary").groupBy("block", "cell").agg(F.count("*").alias("c"), F.max("home").alias("any"))
         sizes = sizes.where("any").select("block", "cell", F.ceil(F.col("c") / CHUNK).cast("int").alias("k"))
         r = cells.join(sizes, ["block", "cell"]).withColumn("mine", F.pmod(F.xxhash64("node"), F.col("k")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
         r = r.select("block", "cell", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), (F.col("mine") > F.col("other")).cast("int").alias("side"), "home", "node", "m", "v")
-        found = stored(r.groupBy("block", "cell", "i", "j").applyInArrow(_join(dim, turn, share, cosine), "a long, b long, n long"))
+        found = stored(r.groupBy("block", "cell", "i", "j").applyInArrow(_join(dim, turn, share, cosine, kind), "a long, b long, n long"))
         links = found.groupBy("a").agg(F.sum("n").alias("n"))
         comp = components(found.where("b is not null").select("a", "b"))
     else:
