@@ -35,6 +35,24 @@ def _shard(t: pa.Table) -> Shard:
     return Shard.build(t.column("node_id").to_numpy(), lists, codes=codes, vectors=vec, texts=t.column("text").to_pylist())
 
 
+def fold(x: np.ndarray, parts: int = 4) -> np.ndarray:
+    """Vectors of a hashing encoder at a quarter of the width: coordinates that the narrow one joins are added."""
+    y = x.reshape(len(x), parts, -1).sum(1, dtype=np.float64)
+    n = np.sqrt((y * y).sum(1, keepdims=True))
+    return np.divide(y, n, out=np.zeros_like(y), where=n > 0)
+
+
+def blend(g: Shard, book: np.ndarray, share: float = 0.25) -> np.ndarray:
+    """Decoded vectors drawn towards the mean of their neighbours' ones."""
+    dec = np.concatenate([book[s][g.codes[:, s]] for s in range(len(book))], 1).astype(np.float64)
+    out = dec.copy()
+    for u in range(len(g.ids)):
+        nb = g.of(u)
+        if len(nb):
+            out[u] = (1 - share) * dec[u] + share * dec[nb].mean(0)
+    return out
+
+
 def run_queries(nodes: pa.Table, queries: pa.Table, spec: SearchSpec, encoder: Encoder, book: np.ndarray | None, entry: int | None, trace: bool) -> pa.Table:
     """The kernel over one shard's nodes for all queries given; rows r (result), s (counts), t (trace)."""
     g = _shard(nodes)
@@ -50,10 +68,20 @@ def run_queries(nodes: pa.Table, queries: pa.Table, spec: SearchSpec, encoder: E
         got = dict(zip(miss, encoder.encode([g.texts[i] for i in miss]), strict=True)) if miss else {}
         return np.array([got[i] if i in got else have[i] for i in at.tolist()], np.float32)
 
+    if spec.approx == "small_encoder":
+        # a quarter-width encoder; what an index would store of it, in half precision
+        small = fold(encoder.encode(g.texts)).astype(np.float16).astype(np.float64)
+        encoder.meter.objects = 0
+    elif spec.approx == "neighbour_mean":
+        blended = blend(g, book)
     for qid, q in zip(queries.column("query_id").to_pylist(), matrix(queries.column("qv")), strict=True):
         before = encoder.meter.objects
         cheap = None
-        if book is not None and g.codes is not None:
+        if spec.approx == "small_encoder":
+            cheap = lambda at, f=fold(q[None])[0]: ((small[at] - f) ** 2).sum(1)
+        elif spec.approx == "neighbour_mean":
+            cheap = lambda at, q=q: ((blended[at] - q) ** 2).sum(1)
+        elif book is not None and g.codes is not None:
             table = pqm.adc_table(q.astype(np.float32), book)
             cheap = lambda at, table=table: pqm.adc(table, g.codes[at])
         if spec.mode in ("pq", "rerank"):

@@ -19,7 +19,7 @@ def assign_two(vectors: DataFrame, centres: DataFrame) -> DataFrame:
     return nearest_cells(vectors, centres, 2)
 
 
-def build_shards(objects: DataFrame, homes: DataFrame, encoder: Encoder, cap: int = 18, ef: int = 100, seed: int = 7, rule: str = "closest") -> DataFrame:
+def build_shards(objects: DataFrame, homes: DataFrame, encoder: Encoder, cap: int = 18, ef: int = 100, seed: int = 7, rule: str = "diverse") -> DataFrame:
     """objects(node_id, text), homes(node_id, cell) -> cell, node_id, level, nbrs; a task encodes, links and forgets one shard."""
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:

@@ -27,7 +27,7 @@ def insert_batch(nodes: DataFrame, rows: DataFrame, encoder: Encoder, cap: int =
         ids = np.r_[old["node_id"].to_numpy(np.int64), new["node_id"].to_numpy(np.int64)]
         at = {int(i): n for n, i in enumerate(ids)}
         x = encoder.encode([*old["text"], *new["text"]]).astype(np.float64)
-        coarse = np.round(x * 4) / 4  # the light form's stand-in for codes
+        coarse = np.round(x * 32) / 32  # the light form's stand-in for codes
         links: list[dict[int, float]] = [{at[v]: float(((x[at[v]] - x[at[int(u)]]) ** 2).sum()) for v in (a if a is not None else []) if v in at} for u, a in zip(old["node_id"], old["nbrs"], strict=True)]
         links += [{} for _ in range(len(new))]
         out = []

@@ -22,10 +22,13 @@ class SearchSpec:
     rerank_n: int = 100
     metric: str = "l2"
     nprobe: int = 2
+    approx: str = "pq"
 
     def __post_init__(self):
         if self.mode not in ("interleaved", "recompute", "stored", "pq", "rerank"):
             raise ValueError(f"unknown mode {self.mode}")
+        if self.approx not in ("pq", "small_encoder", "neighbour_mean"):
+            raise ValueError(f"unknown approximation {self.approx}")
         if self.ef < self.k:
             raise ValueError("ef must be at least k")
         if not 0 < self.alpha <= 1:

@@ -130,6 +130,19 @@ def interleaved_alpha(spark, d):
     return rounded(f.result.join(f.stats.select("query_id", F.col("n_encoded").alias("n_recomputed"), "n_batches"), "query_id"), "dist")
 
 
+@query("approx_variants")
+def approx_variants(spark, d):
+    """Cheap distances by codes, by a quarter-width encoder and by codes blended with the neighbours': recall and encodes."""
+    from ..operators.measures import mean_recall
+
+    i, q, truth = chunk_index(spark, d), bench_vectors(spark, d), chunk_truth(spark, d)
+    rows = []
+    for name in ("pq", "small_encoder", "neighbour_mean"):
+        f = i.search(q, k=3, ef=60, alpha=0.3, batch_target=None, approx=name)
+        rows.append((name, round(mean_recall(f.result, truth, 3), 6), round(f.stats.agg(F.avg("n_encoded")).first()[0], 3)))
+    return spark.createDataFrame(rows, "approx string, recall double, encodes double")
+
+
 @query("pq_graph_search")
 def pq_graph_search(spark, d):
     return rounded(chunk_index(spark, d).search(bench_vectors(spark, d), k=3, ef=60, mode="pq").result, "dist")
