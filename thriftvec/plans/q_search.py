@@ -159,7 +159,7 @@ def frontier_search(spark, d):
     from .frontier import search
 
     i = chunk_index(spark, d)
-    return rounded(search(i, bench_vectors(spark, d), k=3, ef=20, alpha=0.5).result, "dist")
+    return rounded(search(i, bench_vectors(spark, d), k=3, ef=10, alpha=0.5).result, "dist")
 
 
 @query("access_hist")
