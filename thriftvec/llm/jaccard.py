@@ -28,7 +28,8 @@ from .words import Words, blocks, mix, run_hash
 
 FREQUENT = 1 << 17  # entries of the order's list of frequent n-grams
 MASK_WORDS = 16  # 64-bit words of a node's parity mask
-WIDE_WORDS, WIDE_FROM = 128, 1500  # of the second mask, for sets of more n-grams than that
+LARGE_WORDS = 64  # of the mask of sets that are too large for the small one to tell apart
+WIDE_WORDS, WIDE_FROM = 128, 1500  # of the mask for a last look before verification, for sets of more n-grams than that
 FRAGMENTS = 4
 CHUNK = 512  # nodes of one n-gram that one task compares with another chunk
 PARTNERS = 2  # candidates per node and n-gram in the first round; 16 times as many in each further one
@@ -89,6 +90,8 @@ def _nodes(k: int, percent: int, order):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         top, rank = order.value
+        # parities of unlike sets differ in half the bits; beyond this size that is less than the limit allows
+        many = 0.6 * MASK_WORDS * 64 * (100 + percent) / (4 * max(1, 100 - percent))
         for b in blocks(batches, "text"):
             sets = _grams(Words(b.column("text"), lower=True), k)
             ns, nodes, masks, prefixes, wide = [], [], [], [], []
@@ -96,7 +99,7 @@ def _nodes(k: int, percent: int, order):
                 n = len(u)
                 ns.append(n)
                 nodes.append(_signature(u) if n else None)
-                masks.append(_parity(u, MASK_WORDS))
+                masks.append(_parity(u, LARGE_WORDS if n > many else MASK_WORDS))
                 wide.append(_parity(u, WIDE_WORDS) if n > WIDE_FROM else None)
                 length = n - (percent * n + 99) // 100 + 1 if n else 0
                 if len(top) and n > length:
@@ -119,10 +122,9 @@ def _partners(percent: int, most: int):
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("gram", pa.int64())])
 
     def pairs(t: dict[str, np.ndarray], left: np.ndarray, right: np.ndarray, same: bool) -> tuple:
-        n, comp, node, mask = t["n"], t["comp"], t["node"], t["mask"]
+        n, comp, node, mask, large = t["n"], t["comp"], t["node"], t["mask"], t["large"]
         ln, rn = n[left][:, None], n[right][None, :]
-        small, large = np.minimum(ln, rn), np.maximum(ln, rn)
-        ok = (comp[left][:, None] != comp[right][None, :]) & (100 * small >= percent * large)
+        ok = (comp[left][:, None] != comp[right][None, :]) & (100 * np.minimum(ln, rn) >= percent * np.maximum(ln, rn))
         if same:
             ok &= np.triu(np.ones(ok.shape, bool), 1)
         x, y = np.nonzero(ok)
@@ -131,6 +133,9 @@ def _partners(percent: int, most: int):
         for s in range(0, len(x), 1 << 17):
             p, q = left[x[s : s + (1 << 17)]], right[y[s : s + (1 << 17)]]
             d = np.bitwise_count(mask[p] ^ mask[q]).sum(1, dtype=np.int64)
+            big = np.flatnonzero((large[p] >= 0) & (large[q] >= 0))
+            if len(big):
+                d[big] = np.bitwise_count(t["larges"][large[p[big]]] ^ t["larges"][large[q[big]]]).sum(1, dtype=np.int64)
             keep = d * (100 + percent) <= (n[p] + n[q]) * (100 - percent)
             a.append(p[keep])
             b.append(q[keep])
@@ -154,11 +159,17 @@ def _partners(percent: int, most: int):
             g = np.stack([tab.column(c).to_numpy() for c in ("gram", "i", "j")])
             cut = np.flatnonzero(np.r_[True, (g[:, 1:] != g[:, :-1]).any(0)])
             t = {c: tab.column(c).to_numpy() for c in ("node", "n", "comp", "side")}
-            raw = tab.column("mask").combine_chunks()
-            t["mask"] = np.frombuffer(b"".join(raw.to_pylist()), np.uint64).reshape(-1, MASK_WORDS)
+            raw = tab.column("mask").to_pylist()
+            is_large = np.array([len(x) > MASK_WORDS * 8 for x in raw], bool)
+            larges = np.frombuffer(b"".join([x for x, z in zip(raw, is_large, strict=True) if z]), np.uint64).reshape(-1, LARGE_WORDS)
+            t["large"] = np.where(is_large, np.cumsum(is_large) - 1, -1)
+            t["mask"] = np.zeros((len(raw), MASK_WORDS), np.uint64)
+            t["mask"][~is_large] = np.frombuffer(b"".join([x for x, z in zip(raw, is_large, strict=True) if not z]), np.uint64).reshape(-1, MASK_WORDS)
+            # a large mask folds to a small one
+            t["mask"][is_large] = np.bitwise_xor.reduce(larges.reshape(-1, LARGE_WORDS // MASK_WORDS, MASK_WORDS), 1)
             for s, e in zip(cut, np.r_[cut[1:], tab.num_rows], strict=True):
                 if e - s > 1:
-                    part = {c: v[s:e] for c, v in t.items()}
+                    part = {c: v[s:e] for c, v in t.items()} | {"larges": larges}
                     if part["comp"].min() == part["comp"].max():
                         continue
                     same = bool(g[1, s] == g[2, s])
