@@ -2,25 +2,18 @@
 
 from __future__ import annotations
 
-import importlib
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-MODULES = ("q_packing", "q_token_codec", "q_jaccard", "q_html", "q_mixing", "q_vectors", "q_lm", "q_langid", "q_audio", "q_substring", "q_pipeline")
+from . import q_audio, q_html, q_jaccard, q_langid, q_lm, q_mixing, q_packing, q_pipeline, q_substring, q_token_codec, q_vectors
 
-
-def _modules():
-    import importlib.util
-
-    for m in MODULES:
-        if importlib.util.find_spec(f"{__package__}.{m}"):
-            yield importlib.import_module(f"{__package__}.{m}")
+MODULES = (q_packing, q_token_codec, q_jaccard, q_html, q_mixing, q_vectors, q_lm, q_langid, q_audio, q_substring, q_pipeline)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {m.NAME: m.query for m in _modules()}
+    return {m.NAME: m.query for m in MODULES}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {m.NAME: m.ORACLE for m in _modules() if getattr(m, "ORACLE", None)}
+    return {m.NAME: m.ORACLE for m in MODULES if getattr(m, "ORACLE", None)}
