@@ -1,7 +1,7 @@
 """Tokenizer ids of whole texts, exact and fast: recurring pieces of text are encoded once and looked up afterwards.
 
-Plain texts (Latin letters, no apostrophes) are cut around runs of letters, each with the one blank before it; the
-pre-tokens of the tokenizers used here never reach over such a cut. All other texts are cut only before a space that
+Plain texts (Latin letters, no apostrophes) are cut around runs of letters, each with the one blank before it, or
+without blanks where the vocabulary drops them; the pre-tokens of the tokenizers used here never reach over such a cut. All other texts are cut only before a space that
 follows a non-blank, which holds for any text. Unknown runs of letters are encoded in one go as a single text, whose
 tokens show where each run starts (byte-level vocabularies) or ends (vocabularies with word ends). The table of known
 pieces is bounded; what doesn't fit, and pieces too long to recur, are encoded as they come.
@@ -18,11 +18,12 @@ import numpy as np
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 _PLAIN = re.compile(r"\s?[^\W\d_]+|[\W\d_]+?(?=\s?[^\W\d_]|\Z)")
-_ODD = re.compile(r"[^\x00-\x26\x28-\x7f\xa1-\xac\xae-\xb1\xb4-\xb8\xba\xbb\xbf-įı-ɏ]")
+_ODD = re.compile(r"[^\t-\r\x20-\x26\x28-\x7e\xa1-\xac\xae-\xb1\xb4-\xb8\xba\xbb\xbf-įı-ɏ]")
+_BARE = re.compile(r"[^\W\d_]+|(?:[^\w\s]|_)+|\d+")
 _SPANS = re.compile(r" *[^ ]+| +")
 _MIXED = re.compile(r"[^\S ] ")
 _EXACT = re.compile(r"(?<=\S)(?= )")
-KNOWN = 1 << 20
+KNOWN = 1 << 19
 _open: dict[str, SpanEncoder] = {}
 
 
@@ -47,10 +48,10 @@ class SpanEncoder:
             self.edge[i] = t.endswith("</w>") if self.ends else t.startswith("Ġ")
         self.known: dict[str, bytes] = {}
 
-    @staticmethod
-    def pieces(text: str) -> list[str]:
-        if (text.isascii() and "'" not in text) or not _ODD.search(text):
-            return _PLAIN.findall(text)
+    def pieces(self, text: str) -> list[str]:
+        if not _ODD.search(text):
+            # white space and case are of no account to vocabularies with word ends
+            return _BARE.findall(text.lower()) if self.ends else _PLAIN.findall(text)
         return _EXACT.split(text) if _MIXED.search(text) else _SPANS.findall(text)
 
     def _raw(self, pieces: list[str]) -> list[bytes]:
@@ -58,7 +59,7 @@ class SpanEncoder:
 
     def _words(self, words: list[str]) -> list[bytes]:
         """Runs of plain letters after one space, all at once."""
-        ids = np.asarray(self.tok.encode_batch_fast(["".join(words)], add_special_tokens=False)[0].ids, "<u4")
+        ids = np.asarray(self.tok.encode_batch_fast([(" " if self.ends else "").join(words)], add_special_tokens=False)[0].ids, "<u4")
         at = np.flatnonzero(self.edge[ids])
         if len(at) != len(words):
             return self._raw(words)
@@ -70,7 +71,8 @@ class SpanEncoder:
         cut = [self.pieces(t) if t else [] for t in texts]
         known = self.known
         new = set(filterfalse(known.__contains__, chain.from_iterable(cut)))
-        words = [s for s in new if s[0] == " " and s[-1].isalpha() and not _ODD.search(s) and s[1:].isalpha() and len(s) <= 64]
+        letters = (lambda s: s.isalpha()) if self.ends else (lambda s: s[0] == " " and s[1:].isalpha())
+        words = [s for s in new if len(s) <= 64 and letters(s) and not _ODD.search(s)]
         rest = list(new.difference(words))
         extra: dict[str, bytes] = {}
         room = KNOWN - len(self.known)
