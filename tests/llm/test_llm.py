@@ -127,6 +127,28 @@ def test_jaccard(docs, rows, k, percent):
     assert similar_groups(docs.limit(0), k, percent).count() == 0
 
 
+@pytest.mark.parametrize("copies", [8, 700])
+def test_jaccard_star(spark, copies):
+    """Copies that link to the original, but not to each other: all beyond the first partners come in later rounds."""
+    from thriftvec.llm.jaccard import CHUNK, similar_groups
+
+    r = random.Random(copies)
+    base = [f"s{i}" for i in range(602)]
+    texts = [" ".join(base)]
+    for i in range(copies):
+        w = list(base)
+        for p in r.sample(range(1, 200), 12):
+            w[3 * p] = f"edit{i}-{p}"
+        texts.append(" ".join(w))
+    sets = [{tuple(w[a : a + 3]) for a in range(len(w) - 2)} for w in (t.split() for t in texts)]
+    like = lambda a, b: 100 * len(a & b) >= 85 * len(a | b)
+    assert all(like(sets[0], s) for s in sets) and not any(like(a, b) for a, b in itertools.combinations(sets[1:60], 2))
+    # the original's place among the rows of an n-gram goes by hash: several small stars make sure that partners are cut
+    rows = [(g * 1000 + i, " ".join(f"{g}x{w}" for w in t.split())) for g in range(4 if copies < CHUNK else 1) for i, t in enumerate(texts)]
+    got = similar_groups(spark.createDataFrame(rows, "doc_id long, text string"), 3, 85).collect()
+    assert sorted((r["doc_id"], r["component_id"]) for r in got) == [(i, i // 1000 * 1000) for i, _ in rows]
+
+
 def test_span_encoder_is_exact():
     from tokenizers import Tokenizer
 

@@ -9,7 +9,7 @@ links merge nodes to components, and the next round looks at pairs between diffe
 leaves no partner out. So a large group of copies costs a few links per document, and no link that matters is lost.
 
 At 100 TB: per document about a tenth of its n-grams is shuffled; hot n-grams are dealt to chunk pairs of bounded size;
-text is shuffled once, for documents with a candidate; only a bounded list of frequent n-grams is broadcast, and it
+text is shuffled in the first round with a candidate of the document, and once only; only a bounded list of frequent n-grams is broadcast, and it
 merely orders n-grams, whatever its size.
 """
 
@@ -285,10 +285,17 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         short = both.where("x is null or y is null").select("a", "b")
         cand = stored(short.unionByName(both.where("x is not null and y is not null").mapInArrow(_wide(percent), "a long, b long")))
         tried = cand.select("a", "b") if tried is None else tried.unionByName(cand.select("a", "b"))
+        # nodes come up in any round: partners beyond the limit, or pairs that the wide masks ruled out before
+        wanted = cand.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+        if segs is not None:
+            wanted = wanted.join(segs.select("node").distinct(), "node", "left_anti")
+        wanted = wanted.join(reps, "node")
         if segs is None:
-            # later rounds look at nodes of this round's pairs only
-            wanted = cand.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(reps, "node")
             segs = stored(docs.join(wanted, "doc_id").mapInArrow(_segments(k), "node long, part int, seg binary"))
+        else:
+            wanted = stored(wanted)
+            if wanted.limit(1).count():
+                segs = segs.unionByName(stored(docs.join(wanted, "doc_id").mapInArrow(_segments(k), "node long, part int, seg binary")))
         pair = cand.select("a", "b").join(segs.select(F.col("node").alias("a"), "part", F.col("seg").alias("x")), "a")
         pair = pair.join(segs.select(F.col("node").alias("b"), "part", F.col("seg").alias("y")), ["b", "part"]).select("a", "b", "part", "x", "y")
         both = pair.mapInArrow(_overlaps(), "a long, b long, part int, c long").groupBy("a", "b", "part").agg(F.max("c").alias("c")).groupBy("a", "b").agg(F.sum("c").alias("c"))
