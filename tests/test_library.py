@@ -151,3 +151,18 @@ def test_stream_equals_batch(spark, sf, tmp_path):
     before = [tuple(r) for r in one.search(q, 5).collect()]
     one.drain()
     assert one.buffer().count() == 0 and [tuple(r) for r in one.search(q, 5).collect()] == before
+
+
+def test_answer_windows(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from thriftvec.plans import workloads
+
+    passage = " ".join(f"w{i}" for i in range(40))
+    gold = [(i, " ".join(f"w{j}" for j in range(i, i + 10))) for i in range(31)] + [(31, passage + " more")]
+    index = SimpleNamespace(objects=spark.createDataFrame([(1, passage)], "node_id long, text string"))
+    monkeypatch.setattr(workloads, "bench_queries", lambda s, d: spark.createDataFrame(gold, "query_id long, text string"))
+    monkeypatch.setattr(workloads, "chunk_index", lambda s, d: index)
+    found = spark.createDataFrame([(i, 1) for i, _ in gold], "query_id long, node_id long")
+    got = {r["query_id"]: r["f1"] for r in workloads.answers(spark, "", found).collect()}
+    assert got == {**dict.fromkeys(range(31), 1.0), 31: round(80 / 81, 6)}

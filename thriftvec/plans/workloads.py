@@ -106,7 +106,7 @@ def answers(spark, d, result: DataFrame) -> DataFrame:
 
     n = F.greatest(F.size(tokens(F.col("text"))), F.lit(1))
     w = F.split("passage", " ")
-    at = F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(w) - n + 1), F.greatest(F.lit(1), F.floor(n / 2).cast("int"))))
+    at = F.explode(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size(w) - n + 1)))
     win = j.withColumn("n", n).withColumn("w", w).select("query_id", F.col("text").alias("gold"), "w", "n", at.alias("at")).select("query_id", "gold", F.array_join(F.slice("w", F.col("at"), F.col("n")), " ").alias("pred"))
     return ms.token_f1(win)
 
