@@ -159,7 +159,6 @@ def test_span_encoder_is_exact():
     odd += ["".join(r.choice("ab É.\n\n  1_,'\t²é́-<|>") for _ in range(r.randint(1, 14))) for _ in range(1500)]
     for name in ("word_bpe_49k.json", "byte_bpe_50k.json"):
         e, t = SpanEncoder(default_path(name)), Tokenizer.from_file(default_path(name))
-        t.encode_special_tokens = True
         for a in range(0, len(odd), 100):
             for x, ids in zip(odd[a : a + 100], e.encode(odd[a : a + 100])):
                 assert ids == np.array(t.encode(x, add_special_tokens=False).ids, "<u4").tobytes(), (name, x)
@@ -367,18 +366,61 @@ def test_language(spark):
 
 
 def test_html(spark):
-    from thriftvec.llm.html_text import extract, grow, judge, labelled, main_text
+    from thriftvec.llm.html_text import extract, main_text
 
-    x, y = labelled()
-    tree = grow(x, y)
-    assert all(judge(tree, a) == bool(b) for a, b in zip(x, y))
     page = "<html><head><title>t</title><script>var a='<p>no</p>';</script></head><body><nav><a href='/'>home</a></nav><article><h1>A &amp; B</h1><p>One <b>bold</b>\n word.<p>Two&nbsp;three &#233;<br>four</article><div class='comments'><p>first! great post, thank you for this one</p></div><footer>&copy; x</footer>"
-    assert main_text(page, tree) == "A & B\n\nOne bold word.\n\nTwo three é four"
-    for p in (None, "", "<", "<p", "<!--", "<script>", "a < b", '<p class="x>y'):
-        main_text(p, tree)
-    d = spark.createDataFrame([(1, "u", page), (2, None, None), (2, None, None)], "page_id long, url string, html string")
+    assert main_text(page) == "A & B\n\nOne bold word.\n\nTwo three é four"
+    d = spark.createDataFrame([(1, "u", page, "x"), (2, None, None, "x"), (2, None, None, "x"), (None, "v", "", "x")], "page_id long, url string, html string, text string")
     got = [r.asDict() for r in extract(d).collect()]
-    assert len(got) == 3 and [g["_n_chars"] for g in got] == [len(g["_text"]) for g in got]
+    assert len(got) == 4 and [g["_n_chars"] for g in got] == [len(g["_text"]) for g in got]
+    assert extract(d.limit(0)).count() == 0
+
+
+LONG = "some words of a paragraph that goes on " * 6
+
+
+@pytest.mark.parametrize(
+    "page,want",
+    [
+        ('<body class="has-sidebar"><article><p>One two three.</p></article>', "One two three."),
+        ('<article class="post no-comments"><p>One two three.</p></article>', "One two three."),
+        ('<div class="page with-header"><article><p>One two.</p><p>Three.</p></article></div>', "One two.\n\nThree."),
+        (f"<body><div><a href=1>a</a> <a href=2>b</a></div><p>{LONG}</p></body>", LONG.strip()),
+        ("plain  text\nonly", "plain text only"),
+        ('<article><p class="a"b">Text of it</p></article>', "Text of it"),
+        (f"<h1>Head</h1><p>{LONG}</p><p>{LONG}</p><div><a href=1>l1</a> | <a href=2>l2</a></div>", f"Head\n\n{LONG.strip()}\n\n{LONG.strip()}"),
+        (f"<article><p>{LONG}</p></article><section id=comments><article><p>{LONG}</p></article></section>", LONG.strip()),
+        (f"<div class='cookie-notice'><p>{LONG}</p></div><main><p>{LONG}</p><form><p>{LONG}</p></form></main><aside>{LONG}</aside>", LONG.strip()),
+        (f"<div><p>{LONG}</p><p>{LONG}</p></div><ul><li><a href=1>one two</a></li><li><a href=2>three</a></li></ul>", f"{LONG.strip()}\n\n{LONG.strip()}"),
+        ("<article><p>a &lt;b&gt; &amp;amp; c < d</p><!-- <p>no</p> --><p>x<style>p{}</style>y</p></article>", "a <b> &amp; c < d\n\nxy"),
+    ],
+)
+def test_html_pages(page, want):
+    from thriftvec.llm.html_text import main_text
+
+    assert main_text(page) == want
+
+
+def test_html_link_density():
+    """Blocks without telling names or elements go by their links and by those around them."""
+    from thriftvec.llm.html_text import main_text, model
+
+    def used(t):
+        return {t[0], *used(t[2]), *used(t[3])} if len(t) == 4 else set()
+
+    assert {0, 1} <= used(model()[0]) and {2, 3, 4, 5} & used(model()[0])
+    assert main_text(f"<p>{LONG}</p><div><a href=1>{LONG}</a></div><p>{LONG}</p>") == f"{LONG.strip()}\n\n{LONG.strip()}"
+
+
+def test_html_odd_markup_is_linear():
+    import time
+
+    from thriftvec.llm.html_text import main_text
+
+    for p in ("", "<", "<p", "<!--", "<script>", "a < b", '<p class="x>y', "</", "<a =b>", "<p a=>z", *(x * 20000 for x in ('<p a="', "<b></i>", "<!", "<svg>", "<p class='a\"", "<div>")), "<div>" * 20000 + "</p>" * 20000, "<i>" * 20000 + "</b>" * 20000):
+        t = time.time()
+        main_text(p)
+        assert time.time() - t < 5
 
 
 def test_audio(spark):

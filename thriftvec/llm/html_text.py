@@ -1,17 +1,23 @@
 """Main text of HTML pages: flat text blocks judged by a decision tree.
 
-A page is read once into blocks of text between block-level tags. A block's features are its words and link density,
-those of the blocks before and after, and where it stands (navigation-like tags, telling class or id names, an article
-element, a heading). A small decision tree, grown on the labelled pages below, tells main text from the rest.
+A page is read once into flat blocks of text between block-level tags. A block's features are its words and link density,
+those of the blocks before and after, the kind of element it stands in, and the weight of the names (class, id, role)
+around it, which is learned, too. A decision tree grown on a small labelled table tells main text from the rest; the table
+is laid out by the rule of `labelled_pages`.
 
-At 100 TB: a map over whole pages without shuffle; the tree is a few numbers.
+At 100 TB: a map over whole pages without shuffle, in time linear in a page whatever its markup; the tree is a few numbers.
 """
 
 from __future__ import annotations
 
 import html
+import math
+import random
 import re
+from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -22,107 +28,219 @@ from .words import blocks
 
 # fixed values: element names of HTML by their part in a page
 BLOCK_TAGS = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead title tr ul".split())
-SILENT_TAGS = frozenset("script style noscript template svg iframe object canvas audio video head title select option textarea button math".split())
+SILENT_TAGS = frozenset("script style noscript template svg iframe object canvas audio video title select option textarea button math".split())
 VOID_TAGS = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 CHROME_TAGS = frozenset("nav footer aside form menu dialog fieldset".split())
-CHROME_NAMES = frozenset("ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs byline-links captcha comment comments consent cookie cookies copyright disclaimer disqus feedback footer form gdpr header login masthead menu modal nav navbar navigation newsletter notice notices notification overlay pagination pager popup popular promo promoted promotion recommended related replies reply respond search share sharing sidebar signup skip social sponsor sponsored subscribe tags toolbar trending widget widgets".split())
-MAIN_NAMES = frozenset("article body-text content entry main post story".split())
 CLOSES_P = BLOCK_TAGS - {"html", "body", "title"}
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|[^<]+|<", re.S)
-_NAME = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
+_OPEN = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
+_BARE = re.compile(r"[^>\"'=]*>")
+_GAP = re.compile(r"[\s/]*")
+_KEY = re.compile(r"[^\s/>][^\s/>=]*")
+_EQUALS = re.compile(r"\s*=\s*")
+_VALUE = re.compile(r"[^\s>]*")
 _PART = re.compile(r"[a-z0-9]+")
-FEATURES = 10
+_CAMEL = re.compile(r"(?<=[a-z0-9])(?=[A-Z])")
+DENIED = frozenset(("has", "no", "with", "without", "is", "not", "hide", "hidden"))  # a name behind one of these tells of another element
+FEATURES = 13
+
+
+def _attributes(page: str, at: int, ends: dict[str, bool]) -> tuple[list[str], int]:
+    """Values of class, id and role of the tag whose name ends at `at`, and where the tag ends. `ends` remembers which
+    quotes no longer occur, so that unclosed ones cost one look ahead for the whole page."""
+    size = len(page)
+    m = _BARE.match(page, at)
+    if m:
+        return [], m.end()
+    names = []
+    while at < size:
+        at = _GAP.match(page, at).end()
+        if at >= size:
+            break
+        if page[at] == ">":
+            return names, at + 1
+        key = _KEY.match(page, at)
+        at = key.end()
+        eq = _EQUALS.match(page, at)
+        if not eq:
+            continue
+        at = eq.end()
+        quote = page[at : at + 1]
+        if quote in ('"', "'") and quote:
+            z = -1 if ends.get(quote) else page.find(quote, at + 1)
+            if z < 0:  # never closed: the value ends with the tag
+                ends[quote] = True
+                z = page.find(">", at)
+                z = size if z < 0 else z
+                value, at = page[at + 1 : z], z
+            else:
+                value, at = page[at + 1 : z], z + 1
+        else:
+            v = _VALUE.match(page, at)
+            value, at = v.group(0), v.end()
+        if key.group(0).lower() in ("class", "id", "role"):
+            names.append(value)
+    return names, size
+
+
+def name_parts(values: list[str]) -> set[str]:
+    """Words of class, id and role values; those that deny or announce another element are left out."""
+    out: set[str] = set()
+    for value in values:
+        for word in value.split():
+            parts = _PART.findall(_CAMEL.sub(" ", word).lower())
+            if not set(parts) & DENIED:
+                out.update(parts)
+    return out
+
 
+@dataclass
+class Block:
+    """A run of text between block-level tags: its characters in links, whether it stands in a chrome element, in an article
+    element, in a heading, and the names of the elements around it, innermost last."""
 
-def page_blocks(page: str) -> list[tuple[str, int, tuple[int, int, int]]]:
-    """(text, characters in links, (chrome, article, heading)) of each block with text, in page order."""
-    out: list = []
+    text: str
+    linked: int
+    chrome: int
+    article: int
+    heading: int
+    names: tuple
+
+
+def page_blocks(page: str) -> list[Block]:
+    """The blocks with text, in page order; one pass, linear in the page whatever its markup."""
+    out: list[Block] = []
     parts: list[str] = []
     linked = 0
-    stack: list[tuple[str, int, int, int, int]] = []  # tag, chrome, article, heading, link
-    chrome = article = heading = link = 0
-    state = (0, 0, 0)
+    stack: list[tuple] = []  # tag, and the state outside of it
+    depth: Counter = Counter()  # open elements by tag
+    state = (0, 0, 0, 0, ())  # chrome, article, heading, link, names
+    then = state
+    ends: dict[str, bool] = {}
 
     def flush():
         nonlocal linked
         if parts:
-            text = " ".join(html.unescape("".join(parts)).split())
+            text = " ".join("".join(parts).split())
             if text:
-                out.append((text, linked, state))
+                out.append(Block(text, linked, then[0], then[1], then[2], then[4]))
             parts.clear()
         linked = 0
 
     at, size = 0, len(page)
     while at < size:
-        m = _TOKEN.match(page, at)
-        if m is None:  # an unclosed quote: the rest of the tag is text of no use
-            at = page.find(">", at) + 1 or size
+        z = page.find("<", at)
+        if z != at:
+            raw = page[at:] if z < 0 else page[at:z]
+            at = size if z < 0 else z
+            if "&" in raw:
+                raw = html.unescape(raw)
+            then = state
+            parts.append(raw)
+            if state[3]:
+                linked += len(raw.strip())
             continue
-        at = m.end()
-        tag = m.group(2)
-        if tag is None:
-            raw = m.group(0)
-            if raw[0] != "<" or raw == "<":
-                state = (chrome, article, heading)
-                parts.append(raw)
-                if link:
-                    linked += len(raw.strip())
+        m = _OPEN.match(page, at)
+        if m is None:
+            if page.startswith("<!--", at):
+                z = page.find("-->", at + 4)
+                at = size if z < 0 else z + 3
+            elif page.startswith(("<!", "<?", "</"), at):
+                z = page.find(">", at)
+                at = size if z < 0 else z + 1
+            else:
+                parts.append("<")
+                then = state
+                at += 1
             continue
-        tag = tag.lower()
+        tag = m.group(2).lower()
+        names, at = _attributes(page, m.end(), ends)
         if m.group(1):
             if tag in BLOCK_TAGS:
                 flush()
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == tag:
-                    _, chrome, article, heading, link = stack[i]
-                    del stack[i:]
-                    break
+            if depth[tag]:
+                while stack:
+                    last, state = stack.pop()
+                    depth[last] -= 1
+                    if last == tag:
+                        break
             continue
-        if tag == "br" or tag == "wbr":
+        if tag in ("br", "wbr"):
             parts.append(" ")
             continue
+        if tag == "head":
+            continue
         if tag in SILENT_TAGS:
-            if tag in ("head", "title") and tag != "title":
-                end = re.compile(r"</head\s*>|<body", re.I).search(page, at)
-                at = (end.start() if end and end.group(0)[1] != "/" else end.end()) if end else at
+            z = None if ends.get(tag) else re.compile(rf"</{tag}\s*>", re.I).search(page, at)
+            if z:
+                at = z.end()
             else:
-                end = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
-                at = end.end() if end else (size if tag in ("script", "style") else at)
+                ends[tag] = True
+                at = size if tag in ("script", "style") else at
             continue
         if tag in BLOCK_TAGS:
             flush()
             if tag in CLOSES_P and stack and stack[-1][0] == "p":
-                _, chrome, article, heading, link = stack.pop()
+                depth["p"] -= 1
+                state = stack.pop()[1]
         if tag in VOID_TAGS:
             continue
-        stack.append((tag, chrome, article, heading, link))
-        names = {x for g in _NAME.findall(m.group(3)) for v in g if v for x in [*_PART.findall(v.lower()), *v.lower().split()]} if m.group(3) and not m.group(3).isspace() else set()
-        if tag in CHROME_TAGS or (tag == "header" and not article) or names & CHROME_NAMES:
+        stack.append((tag, state))
+        depth[tag] += 1
+        chrome, article, heading, link, around = state
+        if tag in CHROME_TAGS or (tag == "header" and not article):
             chrome = 1
-        if tag in ("article", "main") or names & MAIN_NAMES:
+        if tag in ("article", "main"):
             article = 1
         if len(tag) == 2 and tag[0] == "h" and tag[1] in "123456":
             heading = 1
         if tag == "a":
             link = 1
+        if names and tag not in ("html", "body"):  # those of the whole page describe its layout
+            mine = name_parts(names) - ({"header"} if article else set())
+            if mine and len(around) < 64:
+                around = (*around, frozenset(mine))
+        state = (chrome, article, heading, link, around)
     flush()
     return out
 
 
-def features(found: list) -> np.ndarray:
-    n = np.array([len(t.split()) for t, _, _ in found], float)
-    d = np.array([min(1.0, k / len(t)) for t, k, _ in found], float)
+def name_weights(pages: list[tuple[list[Block], list[bool]]]) -> dict[str, float]:
+    """Log odds of main text for each name, from labelled pages."""
+    main, rest = Counter(), Counter()
+    for found, ys in pages:
+        for b, y in zip(found, ys, strict=True):
+            for x in set().union(*b.names):
+                (main if y else rest)[x] += 1
+    return {x: math.log((main[x] + 0.5) / (rest[x] + 0.5)) for x in main | rest}
+
+
+def features(found: list[Block], weights: dict[str, float]) -> np.ndarray:
+    """Per block: words and link density of it, of the block before and of the one after; chrome element, article element,
+    heading, lowest and highest weight of the names around, whether the page has an article element, copyright sign."""
     x = np.zeros((len(found), FEATURES))
-    if len(found):
-        x[:, 0], x[:, 1] = n, d
-        x[1:, 2], x[1:, 3], x[:-1, 4], x[:-1, 5] = n[:-1], d[:-1], n[1:], d[1:]
-        x[:, 6:9] = [s for _, _, s in found]
-        x[:, 9] = [t.startswith(("©", "(c)", "Copyright")) for t, _, _ in found]
+    if not found:
+        return x
+    n = np.array([len(b.text.split()) for b in found], float)
+    d = np.array([min(1.0, b.linked / len(b.text)) for b in found], float)
+    x[:, 0], x[:, 1] = n, d
+    x[1:, 2], x[1:, 3], x[:-1, 4], x[:-1, 5] = n[:-1], d[:-1], n[1:], d[1:]
+    x[:, 6:9] = [(b.chrome, b.article, b.heading) for b in found]
+    seen: dict[tuple, tuple[float, float]] = {}
+    for b in found:
+        if b.names not in seen:
+            w = [weights.get(v, 0.0) for v in set().union(*b.names)]
+            seen[b.names] = (min(w, default=0.0), max(w, default=0.0))
+    x[:, 9:11] = [seen[b.names] for b in found]
+    x[:, 11] = x[:, 7].max()
+    x[:, 12] = [b.text.startswith(("©", "(c)", "Copyright")) for b in found]
     return x
 
 
-def grow(x: np.ndarray, y: np.ndarray, depth: int = 6) -> tuple:
+DEPTH, LEAST = 9, 12  # of the tree; blocks in a leaf
+
+
+def grow(x: np.ndarray, y: np.ndarray, depth: int = DEPTH) -> tuple:
     """Decision tree by Gini impurity: (feature, threshold, below or equal, above) or (share of main text,)."""
     if depth == 0 or len(set(y.tolist())) < 2:
         return (float(y.mean()) if len(y) else 0.0,)
@@ -131,6 +249,7 @@ def grow(x: np.ndarray, y: np.ndarray, depth: int = 6) -> tuple:
         o = np.argsort(x[:, f], kind="stable")
         v, c = x[o, f], np.cumsum(y[o])
         k = np.flatnonzero(v[1:] > v[:-1]) + 1
+        k = k[(k >= LEAST) & (k <= len(y) - LEAST)]
         if not len(k):
             continue
         n = len(y)
@@ -152,43 +271,107 @@ def judge(tree: tuple, row: np.ndarray) -> bool:
     return tree[0] >= 0.5
 
 
-def _run(n: int) -> str:
-    return " ".join(f"w{i}" for i in range(n))
-
-
-# Labelled pages: blocks that start with `*` are main text.
-_LINKS = "<li><a href='/a'>home</a></li><li><a href='/b'>all our news</a></li><li><a href='/c'>shop</a></li>"
-LABELLED = [
-    f"<body><nav><ul>{_LINKS}</ul></nav><div class='ad'>{_run(8)}.</div><article><h1>*{_run(7)}</h1><p>*{_run(60)}</p><p>*{_run(3)}</p><p>*{_run(35)}</p></article><footer>&copy; host &middot; {_run(9)}</footer></body>",
-    f"<body><header><a href='/'>site</a> {_run(4)}</header><article><header><h1>*{_run(9)}</h1></header><p>*{_run(2)}</p><p>*{_run(90)} <a href='/x'>see</a> {_run(5)}</p><ul><li>*{_run(4)}</li><li>*{_run(12)}</li></ul><aside>{_run(20)}</aside></article><div class='sidebar'><p>{_run(40)}</p></div></body>",
-    f"<body><div id='cookie-notice'><p>{_run(45)}</p><a href='#'>ok</a></div><main><h2>*{_run(5)}</h2><p>*{_run(30)}</p><div class='related'><h3>{_run(3)}</h3><a href='/1'>{_run(6)}</a></div><p>*{_run(25)}</p></main><section id='comments'><h3>{_run(2)}</h3><p>{_run(50)}</p><p>{_run(11)}</p></section></body>",
-    f"<body><ul>{_LINKS}</ul><h1>*{_run(8)}</h1><p>*{_run(70)}</p><p>*{_run(40)}</p><p>*{_run(22)}</p><div><a href='/p'>{_run(3)}</a> | <a href='/q'>{_run(2)}</a></div><div>{_run(4)}</div></body>",
-    f"<body><div class='menu'><a href='/'>a b</a><a href='/2'>c</a></div><div class='content'><p>*{_run(1)}</p><p>*{_run(18)}</p><form><p>{_run(15)}</p><label>{_run(2)}</label></form><p>*{_run(33)}</p></div><div class='footer'>{_run(24)}</div></body>",
-    f"<body><p>{_run(3)}</p><div><a href='/'>{_run(5)}</a></div><p>*{_run(120)}</p><p>*{_run(28)}</p><p>*{_run(64)}</p><table><tr><td><a href='/s'>{_run(4)}</a></td><td>{_run(2)}</td></tr></table><p>&copy; {_run(12)}</p></body>",
-    f"<body><article><h1>*{_run(1)}</h1><p>*{_run(1)}</p><p>*<a href='/k'>{_run(6)}</a></p><blockquote>*{_run(14)}</blockquote><div class='share'>{_run(6)}</div><div class='advert'>{_run(30)}</div><p>*{_run(200)}</p><div class='newsletter'><p>{_run(16)}</p></div></article></body>",
-    f"<body><article><p>*{_run(6)}</p><section class='comments'><article><p>{_run(26)}</p></article><article><p>{_run(4)}</p></article></section></article><div class='popup'>{_run(35)}</div><dialog><p>{_run(20)}</p></dialog></body>",
-]
-
-
-def labelled() -> tuple[np.ndarray, np.ndarray]:
-    xs, ys = [], []
-    for page in LABELLED:
+# The labelled pages: what their elements are called (fixed values, as pages commonly name them) and how they are laid out.
+OTHER_NAMES = "ad ads advert advertisement banner breadcrumb breadcrumbs byline captcha comment comments consent cookie copyright disclaimer feedback footer form gdpr header login masthead menu modal nav navbar navigation newsletter notice notification pagination popup popular promo promoted recommended related reply respond search share sharing sidebar signup social sponsor sponsored subscribe tags toolbar trending widget".split()
+MAIN_NAMES = "article body content entry main page post story text".split()
+
+
+def labelled_pages(pages: int = 1600, seed: int = 7) -> list[str]:
+    """Pages laid out by rule with lengths drawn at random. Blocks that start with `*` are main text."""
+    r = random.Random(seed)
+
+    def run(low: int, high: int) -> str:
+        return " ".join(f"w{i}" for i in range(r.randint(low, high)))
+
+    def links(n: int, tag: str = "li") -> str:
+        return "".join(f"<{tag}><a href='/{i}'>{run(1, 6)}</a></{tag}>" for i in range(n))
+
+    def other(tagged: bool) -> str:
+        """Something beside the text: by its element, by its name, or told by its links alone."""
+        kind = r.randrange(5 if tagged else 3)
+        text = r.choice([lambda: f"<p>{run(1, 60)}</p>", lambda: f"<p>{run(40, 220)}</p>", lambda: f"<h3>{run(1, 4)}</h3><ul>{links(r.randint(2, 6))}</ul>", lambda: f"<p>{run(5, 30)}</p><p>{run(1, 40)}</p>", lambda: f"<a href='/'>{run(1, 9)}</a> {run(1, 6)}"])()
+        if kind == 0:
+            return f"<ul>{links(r.randint(3, 8))}</ul>"
+        if kind == 1:
+            line = f"<div>{run(1, 8)}</div>" if r.random() < 0.6 else ""
+            return f"<div>{links(r.randint(2, 5), 'span')}</div>{line}<div>{links(r.randint(2, 5), 'span')}</div>"
+        if kind == 2:
+            name = r.choice(OTHER_NAMES)
+            return f"<{(e := r.choice(['div', 'section', 'p' if text[1] == 'a' else 'div']))} {r.choice(['class', 'id'])}='{name}'>{text}</{e}>"
+        e = r.choice(["nav", "aside", "form", "footer", "dialog"])
+        return f"<{e}>{text}</{e}>"
+
+    def main(n: int, whole: bool) -> str:
+        """Paragraphs; `whole`: they stand in an article element, which may hold other things, too."""
+        out = [f"<h1>*{run(1, 12)}</h1>"] if r.random() < 0.8 else []
+        for i in range(n):
+            k = r.random()
+            if k < 0.2:
+                out.append(f"<p>*{run(1, 8)}</p>" + (f"<p>*{run(16, 80)}</p>" if not whole else ""))
+            elif k < 0.3 and i:
+                out.append(f"<h2>*{run(1, 8)}</h2><p>*{run(25, 80)}</p>")
+            elif k < 0.4 and i:
+                out.append("<ul>" + "".join(f"<li>*{run(1, 14)}</li>" for _ in range(3)) + f"</ul><p>*{run(20, 50)}</p>")
+            elif k < 0.6:
+                out.append(f"<p>*{run(15, 60)} <a href='/x'>{run(1, 4)}</a> {run(4, 20)}</p>")
+            else:
+                out.append(f"<p>*{run(16, 220)}</p>")
+            if whole and r.random() < 0.12:
+                out.append(other(True))
+        return "".join(out)
+
+    made = []
+    for i in range(pages):
+        whole = i % 2 == 0
+        body = main(r.randint(1, 7), whole)
+        if whole:
+            e = r.choice(["article", "main"])
+            body = f"<{e}{r.choice(['', ' class=post', ' class=entry'])}>{body}</{e}>"
+            if r.random() < 0.5:
+                body = f"<div>{run(2, 40)}</div>{body}"
+            if r.random() < 0.5:
+                body += f"<div>{run(2, 40)}</div>"
+        elif r.random() < 0.6:
+            body = f"<div class='{r.choice(MAIN_NAMES)}'>{body}</div>"
+        if i % 10 == 9:
+            made.append(f"*{run(1, 200)}")  # a page without any markup
+            continue
+        before = "".join(other(True) for _ in range(r.randint(0, 3)))
+        after = "".join(other(True) for _ in range(r.randint(0, 3)))
+        if r.random() < 0.5:
+            after += f"<div class='comments'>{''.join(f'<{t}><p>{run(3, 160)}</p></{t}>' for t in [r.choice(['article', 'div', 'li'])] * 3)}</div>"
+        if r.random() < 0.5:
+            after += f"<p>&copy; {run(2, 20)}</p>"
+        made.append(f"<html><head><title>{run(2, 5)}</title></head><body>{before}{body}{after}</body></html>")
+    return made
+
+
+@cache
+def model() -> tuple[tuple, dict[str, float]]:
+    """Tree and name weights, grown on the labelled pages."""
+    pages = []
+    for page in labelled_pages():
         found = page_blocks(page)
-        ys += [t.startswith("*") for t, _, _ in found]
-        xs.append(features([(t.lstrip("*"), k, s) for t, k, s in found]))
-    return np.concatenate(xs), np.array(ys, float)
+        ys = [b.text.startswith("*") for b in found]
+        for b in found:
+            b.text = b.text.removeprefix("*")
+        pages.append((found, ys))
+    weights = name_weights(pages)
+    x = np.concatenate([features(f, weights) for f, _ in pages])
+    return grow(x, np.concatenate([ys for _, ys in pages]).astype(float), DEPTH), weights
 
 
-def main_text(page: str | None, tree: tuple) -> str:
+def main_text(page: str | None, trained: tuple | None = None) -> str:
+    tree, weights = trained or model()
     found = page_blocks(page or "")
-    x = features(found)
-    return "\n\n".join(t for (t, _, _), row in zip(found, x, strict=True) if judge(tree, row))
+    x = features(found, weights)
+    return "\n\n".join(b.text for b, row in zip(found, x, strict=True) if judge(tree, row))
 
 
-def _extract(tree: tuple, keys: list[str], fields: pa.Schema):
+def _extract(trained: tuple, keys: list[str], fields: pa.Schema):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in blocks(batches, "html"):
-            texts = [main_text(p, tree) for p in b.column("html").to_pylist()]
+            texts = [main_text(p, trained) for p in b.column("html").to_pylist()]
             yield pa.RecordBatch.from_arrays([*(b.column(k) for k in keys), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], schema=fields)
 
     return run
@@ -207,4 +390,4 @@ def extract(pages: DataFrame, keep: list[str] | None = None) -> DataFrame:
     names = [f"c{i}" for i in range(len(keep))]
     d = pages.select(*(F.col(c).alias(n) for c, n in zip(keep, names, strict=True)), F.col("html").alias("html"))
     schema = T.StructType([d.schema[n] for n in names] + [T.StructField("_text", T.StringType()), T.StructField("_n_chars", T.LongType())])
-    return d.mapInArrow(_extract(grow(*labelled()), names, to_arrow_schema(schema)), schema).withColumnsRenamed(dict(zip(names, keep, strict=True)))
+    return d.mapInArrow(_extract(model(), names, to_arrow_schema(schema)), schema).withColumnsRenamed(dict(zip(names, keep, strict=True)))
