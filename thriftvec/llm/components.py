@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import discard, stored
 
 
 def _mark(df: DataFrame) -> tuple:
@@ -18,7 +18,7 @@ def _mark(df: DataFrame) -> tuple:
     return r[0], r[1]
 
 
-def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """links(a, b) of long ids -> (node, component) for every id that occurs; component is the smallest id reachable.
 
     No links give no rows; self links, repeated links and either direction are allowed, nulls are ignored.
@@ -27,21 +27,18 @@ def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
     e = stored(e.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     nodes = links.where("a is not null and b is not null").select(F.explode(F.array("a", "b")).alias("node"))
     last = _mark(e)
-    for _ in range(max_rounds):
-        if not last[0]:
-            break
+    while last[0]:
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         # larger neighbours of each node now point to the smallest id around it
         big = both.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
         low = big.groupBy("a").agg(F.min("b").alias("m"))
         small = big.join(low, "a").where("b > m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        e = stored(small.unionByName(low.select("a", F.col("m").alias("b"))).where("a <> b").distinct())
-        now = _mark(e)
-        if now == last:
+        new = stored(small.unionByName(low.select("a", F.col("m").alias("b"))).where("a <> b").distinct())
+        discard(e)
+        e, now = new, _mark(new)
+        if now == last:  # alternating stars settle after a logarithmic number of rounds
             break
         last = now
-    else:
-        raise RuntimeError("components did not settle")
     out = e.groupBy("a").agg(F.min("b").alias("b"))
     return nodes.distinct().join(out, nodes["node"] == out["a"], "left").select("node", F.coalesce("b", "node").alias("component"))

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import discard, stored
 from .components import components
 from .words import Words, blocks, mix, run_hash
 
@@ -251,15 +251,20 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     order = spark.sparkContext.broadcast((gram[o], c[o]))
 
     known = stored(docs.mapInArrow(_nodes(k, percent, order), "doc_id long, n long, node long, mask binary, prefix array<long>, wide binary"))
-    reps = known.where("node is not null and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    one = stored(known.join(reps, ["node", "doc_id"]).dropDuplicates(["node"]))
+    first = known.where("node is not null and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
+    one = stored(known.join(first, ["node", "doc_id"]).dropDuplicates(["node"]))
     tokens = one.select("node", F.explode("prefix").alias("gram"))
     often = tokens.groupBy("gram").agg(F.count("*").alias("c")).where("c > 1")
     tokens = stored(tokens.join(often, "gram").select("gram", "node", F.ceil(F.col("c") / CHUNK).cast("int").alias("k")))
-    facts = one.select("node", "n", "mask")
+    facts = stored(one.select("node", "n", "mask"))
+    large = stored(one.where(F.col("wide").isNotNull()).select("node", "n", "wide"))
+    reps = stored(one.select("node", "doc_id"))
+    sets = stored(known.select("doc_id", "n", "node"))
+    discard(one, known)  # the prefixes in them are the bulk
 
     comp: DataFrame | None = None
     segs: DataFrame | None = None
+    parts: list[DataFrame] = []
     links: DataFrame | None = None
     tried: DataFrame | None = None
     most = PARTNERS
@@ -279,7 +284,6 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         more = again.limit(1).count()
         if tried is not None:
             cand = cand.join(tried, ["a", "b"], "left_anti")
-        large = one.where(F.col("wide").isNotNull()).select("node", "n", "wide")
         both = cand.select("a", "b").join(large.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("wide").alias("x")), "a", "left")
         both = both.join(large.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("wide").alias("y")), "b", "left")
         short = both.where("x is null or y is null").select("a", "b")
@@ -292,25 +296,33 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         wanted = wanted.join(reps, "node")
         if segs is None:
             segs = stored(docs.join(wanted, "doc_id").mapInArrow(_segments(k), "node long, part int, seg binary"))
+            parts.append(segs)
         else:
             wanted = stored(wanted)
             if wanted.limit(1).count():
-                segs = segs.unionByName(stored(docs.join(wanted, "doc_id").mapInArrow(_segments(k), "node long, part int, seg binary")))
+                parts.append(stored(docs.join(wanted, "doc_id").mapInArrow(_segments(k), "node long, part int, seg binary")))
+                segs = segs.unionByName(parts[-1])
         pair = cand.select("a", "b").join(segs.select(F.col("node").alias("a"), "part", F.col("seg").alias("x")), "a")
         pair = pair.join(segs.select(F.col("node").alias("b"), "part", F.col("seg").alias("y")), ["b", "part"]).select("a", "b", "part", "x", "y")
         both = pair.mapInArrow(_overlaps(), "a long, b long, part int, c long").groupBy("a", "b", "part").agg(F.max("c").alias("c")).groupBy("a", "b").agg(F.sum("c").alias("c"))
         size = facts.select("node", "n")
         good = both.join(size.select(F.col("node").alias("a"), F.col("n").alias("na")), "a").join(size.select(F.col("node").alias("b"), F.col("n").alias("nb")), "b")
         good = good.where(F.lit(100) * F.col("c") >= F.lit(percent) * (F.col("na") + F.col("nb") - F.col("c"))).select("a", "b")
-        links = stored(good if links is None else links.unionByName(good))
+        new = stored(good if links is None else links.unionByName(good))
+        discard(links)
+        links, old = new, comp
         comp = stored(components(links))
+        discard(old, found)
         if not more:
             break
         most *= 16
-        tokens = stored(tokens.join(again, "gram", "left_semi"))
-    owner = known.where("doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("d"))
+        new = stored(tokens.join(again, "gram", "left_semi"))
+        discard(tokens, again)
+        tokens = new
+    discard(tokens, facts, large, links, *parts)
+    owner = sets.where("doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("d"))
     least = owner.join(comp, "node", "left").withColumn("component", F.coalesce("component", "node"))
     low = least.groupBy("component").agg(F.min("d").alias("low"))
     named = least.join(low, "component").select("node", "low")
-    out = known.select("doc_id", "n", "node").join(named, "node", "left")
+    out = sets.join(named, "node", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce(F.when(F.col("n") > 0, F.col("low")), F.col("doc_id"))).alias("component_id"))

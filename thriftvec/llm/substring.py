@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import discard, stored
 from .words import Words, blocks, mix, run_hash
 
 WINDOW = 50
@@ -113,6 +113,7 @@ def repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     # whole copies are decided by their md5; the smallest of them stands for all
     alone = copies.join(ids.groupBy("doc_id").agg(F.count("*").alias("texts")).where("texts = 1"), "doc_id").select("doc_id")
     near = stored(docs.join(lists.join(alone, "doc_id", "left_anti"), "doc_id"))
+    discard(live)
     runs = near.mapInArrow(_windows(window, block, gram), "w long, w2 int, doc_id long")
     owner = runs.groupBy("w", "w2").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).where("least < most").select("w", "w2", "least")
     owner = stored(owner)
