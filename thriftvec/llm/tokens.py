@@ -4,7 +4,8 @@ Plain texts (Latin letters, no apostrophes) are cut around runs of letters, each
 without blanks where the vocabulary drops them; the pre-tokens of the tokenizers used here never reach over such a cut. All other texts are cut only before a space that
 follows a non-blank, which holds for any text. Unknown runs of letters are encoded in one go as a single text, whose
 tokens show where each run starts (byte-level vocabularies) or ends (vocabularies with word ends). The table of known
-pieces is bounded; what doesn't fit, and pieces too long to recur, are encoded as they come.
+pieces is bounded; what doesn't fit, and pieces too long to recur, are encoded as they come. Texts that hold a special
+token are encoded whole, as the library does it.
 """
 
 from __future__ import annotations
@@ -40,8 +41,9 @@ class SpanEncoder:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
         vocab = self.tok.get_vocab()
+        special = sorted({t.content.lower() for t in self.tok.get_added_tokens_decoder().values()})
+        self.special = re.compile("|".join(map(re.escape, special))) if special else None
         self.edge = np.zeros(max(vocab.values(), default=0) + 1, bool)
         self.ends = any(t.endswith("</w>") for t in vocab)
         for t, i in vocab.items():
@@ -49,6 +51,8 @@ class SpanEncoder:
         self.known: dict[str, bytes] = {}
 
     def pieces(self, text: str) -> list[str]:
+        if self.special and self.special.search(text.lower()):
+            return [text]
         if not _ODD.search(text):
             # white space and case are of no account to vocabularies with word ends
             return _BARE.findall(text.lower()) if self.ends else _PLAIN.findall(text)
