@@ -16,7 +16,6 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -113,12 +112,12 @@ def settle(p: np.ndarray, val: np.ndarray, size: np.ndarray, most: int = 4) -> n
 
 
 def _fly(land: bool, level: int, seed: int):
-    def run(key, pdf):
-        pdf = pdf.sort_values(["doc_id", "size", "p"], ignore_index=True, kind="stable")
-        pdf = pdf.sort_values("doc_id", key=lambda s: pd.util.hash_pandas_object(s, index=False), ignore_index=True, kind="stable")
-        rng = np.random.default_rng(zlib.crc32(f"{seed}|{level}|{key}".encode()))
-        pdf["p"] = flight(pdf["p"].to_numpy(), pdf["size"].to_numpy(), rng, land)
-        return pdf[["doc_id", "slot", "size", "p", "whole"]]
+    def run(key, table):
+        # the order is that of a hash of the id, then of the row's values: the same in every run
+        table = table.sort_by([("h", "ascending"), ("doc_id", "ascending"), ("size", "ascending"), ("p", "ascending")])
+        rng = np.random.default_rng(zlib.crc32(f"{seed}|{level}|{key[0].as_py()}|{key[1].as_py()}".encode()))
+        p = flight(table.column("p").to_numpy(), table.column("size").to_numpy(), rng, land)
+        return table.set_column(table.schema.get_field_index("p"), "p", pa.array(p)).select(["doc_id", "slot", "size", "p", "whole", "h"])
 
     return run
 
@@ -128,7 +127,8 @@ def mix_sources(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST, s
 
     size is the number of words (runs of bytes other than ASCII white space; null: 0); copies says how often the mix
     takes the document, at most `most` rounded up; taken = copies * size. Null sources form one source. A source
-    without words has target 0. Repeated rows are documents of their own; reruns agree. An empty table gives none.
+    without words has target 0. Repeated rows and rows without doc_id are documents of their own; reruns agree. An
+    empty table gives none. Other columns are ignored.
     """
     spark = docs.sparkSession
     known = stored(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), "text").mapInArrow(_sizes, "doc_id long, source string, size long"))
@@ -140,13 +140,13 @@ def mix_sources(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST, s
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     rows = rows.withColumn("whole", F.floor(rate)).withColumn("p", rate - F.floor(rate))
     few = F.greatest(F.lit(1), F.ceil(F.col("n") / BUCKET))
-    done, part = [], rows.select("doc_id", "slot", "size", "p", "whole", F.pmod(F.xxhash64("doc_id"), few).alias("bucket"))
-    schema = "doc_id long, slot int, size long, p double, whole long"
+    done, part = [], rows.select("doc_id", "slot", "size", "p", "whole", F.xxhash64("doc_id", F.lit(seed)).alias("h"), F.pmod(F.when(F.col("doc_id").isNull(), F.xxhash64("size")).otherwise(F.xxhash64("doc_id")), few).alias("bucket"))
+    schema = "doc_id long, slot int, size long, p double, whole long, h long"
     largest = max([r["n"] for r in sums], default=0)
     level = 0
     while True:
         last = largest <= BUCKET
-        out = stored(part.groupBy("slot", "bucket").applyInPandas(_fly(last, level, seed), schema))
+        out = stored(part.groupBy("slot", "bucket").applyInArrow(_fly(last, level, seed), schema))
         if last:
             done.append(out)
             break
@@ -155,10 +155,10 @@ def mix_sources(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST, s
         buckets = -(-largest // BUCKET)
         largest, level = 2 * buckets, level + 1
         k = -(-largest // BUCKET)
-        part = rest.withColumn("bucket", F.pmod(F.xxhash64("doc_id", F.lit(level)), F.lit(k)))
+        part = rest.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "size", F.lit(level)), F.lit(k)))
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
-    out = out.join(dims, "slot")
+    out = out.drop("h").join(dims, "slot")
     copies = (F.col("whole") + F.col("p")).cast("long")
     return out.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"))

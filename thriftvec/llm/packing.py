@@ -15,7 +15,6 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -26,7 +25,6 @@ from .words import blocks
 
 CAPACITY = 2048
 BUCKET = 2048  # pieces that one bucket packs
-ROUNDS = 6
 
 
 def _pieces(path: str, capacity: int, with_ids: bool, keys: list[str], schema: pa.Schema):
@@ -96,10 +94,10 @@ def best_fit_decreasing(lengths: np.ndarray, capacity: int = CAPACITY) -> tuple[
     return bins, offsets
 
 
-def _pack(capacity: int, names: list[str]):
-    def run(key, pdf):
-        pdf = pdf.sort_values("_uid", kind="stable", ignore_index=True)
-        n = pdf["length"].to_numpy()
+def _pack(capacity: int, round_no: int, schema: pa.Schema):
+    def run(key, table):
+        table = table.sort_by("_uid")
+        n = table.column("length").to_numpy()
         bins, offsets = best_fit_decreasing(n, capacity)
         used = int(bins.max()) + 1
         free = capacity - np.bincount(bins, weights=n, minlength=used).astype(np.int64)
@@ -109,16 +107,21 @@ def _pack(capacity: int, names: list[str]):
             worst = np.argsort(-free, kind="stable")
             enough = int(np.searchsorted(np.cumsum(free[worst]), (gap + 1) * capacity)) + 1
             back[worst[:enough]] = True
-        pdf["sequence_id"] = bins
-        pdf["offset"] = offsets
-        pdf["_back"] = back[bins]
-        return pdf[[*names, "sequence_id", "offset", "_back"]]
+        sequence = bins + ((round_no << 56) | (key[0].as_py() << 16))  # ids are dealt evenly: a bucket has far fewer than 2^16 pieces
+        made = {"sequence_id": pa.array(sequence), "offset": pa.array(offsets), "_back": pa.array(back[bins])}
+        return pa.Table.from_arrays([made[f.name] if f.name in made else table.column(f.name) for f in schema], schema=schema)
 
     return run
 
 
 def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
-    """pieces with a column `length` (1..capacity) -> the same rows with sequence_id and offset."""
+    """pieces with a column `length` (1..capacity) -> the same rows with sequence_id and offset.
+
+    Rounds go on until every bucket is certified or one bucket is left. A round that hands back more than nine tenths of
+    what it got ends them too: exchange no longer helps then, and its bins stay as they are.
+    """
+    from pyspark.sql.pandas.types import to_arrow_schema
+
     cols = pieces.columns
     left = stored(pieces.withColumn("_uid", F.monotonically_increasing_id()))
     whole = left.where(F.col("length") == capacity).select(*cols, F.col("_uid").alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
@@ -126,36 +129,26 @@ def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     left = left.where(F.col("length") < capacity)
     names = left.columns
     schema = left.select(*names, F.lit(0).cast("long").alias("sequence_id"), F.lit(0).cast("long").alias("offset"), F.lit(True).alias("_back")).schema
-    for round_no in range(1, ROUNDS + 1):
-        n = left.count()
-        if not n:
-            break
+    fields = to_arrow_schema(schema)
+    n, round_no = left.count(), 0
+    while n:
+        round_no += 1
         k = -(-n // BUCKET)
-        made = left.withColumn("_bucket", F.pmod(F.xxhash64("_uid", F.lit(round_no)), F.lit(k))).groupBy("_bucket").applyInPandas(_with_bucket(capacity, names, round_no), schema)
+        made = left.withColumn("_bucket", F.pmod(F.xxhash64("_uid", F.lit(round_no)), F.lit(k))).groupBy("_bucket").applyInArrow(_pack(capacity, round_no, fields), schema)
         made = stored(made)
-        last = k == 1 or round_no == ROUNDS
-        keep = made if last else made.where("not _back")
-        done.append(keep.select(*cols, "sequence_id", "offset"))
+        back = made.where("_back")
+        again = 0 if k == 1 else back.count()
+        last = not again or 10 * again > 9 * n
+        done.append((made if last else made.where("not _back")).select(*cols, "sequence_id", "offset"))
         if last:
             break
-        left = made.where("_back").select(*names)
+        left, n = back.select(*names), again
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
     return out
 
 
-def _with_bucket(capacity: int, names: list[str], round_no: int):
-    pack = _pack(capacity, names)
-
-    def run(key, pdf):
-        out = pack(key, pdf.drop(columns="_bucket"))
-        out["sequence_id"] += (round_no << 60) | (int(key[0]) << 24)
-        return out
-
-    return run
-
-
 def pack_documents(docs: DataFrame, vocabulary: str | None = None, capacity: int = CAPACITY, with_ids: bool = False) -> DataFrame:
     """docs(doc_id, text) -> doc_id, piece, start, length, ids_crc32, sequence_id, offset (and ids with with_ids).
 
