@@ -27,7 +27,7 @@ from .components import components
 
 BLOCKS = 4
 AXES = 2  # coordinates of a block that its cells are cut along
-CHUNK = 16384
+CHUNK = 4096
 ROOM = 1e-6  # widening of each share, far above rounding
 
 
@@ -39,11 +39,19 @@ def _matrix(col: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.asarray(col.is_valid()), col, size
 
 
+def _scaled(x: np.ndarray) -> np.ndarray:
+    """Rows by a power of two near their largest component, so that squares neither overflow nor vanish. Exact."""
+    top = np.abs(x).max(1, initial=0)
+    top = np.where(np.isfinite(top) & (top > 0), top, 1.0)
+    return np.ldexp(x, -np.frexp(top)[1][:, None])
+
+
 def _clean(batches: Iterator[pa.RecordBatch], dim: int):
     for b in batches:
         ok, col, size = _matrix(b.column("embedding"))
         rows = np.flatnonzero(ok & (size == dim))
         flat = col.take(pa.array(rows)).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim)
+        flat = _scaled(flat)
         norm = np.sqrt((flat * flat).sum(1))
         fine = np.isfinite(flat).all(1) & np.isfinite(norm) & (norm > 0)
         yield b, rows[fine], flat[fine], norm[fine]
@@ -84,7 +92,7 @@ def _cells(dim: int, turn: np.ndarray, share: float, kind: str):
             if not len(rows):
                 continue
             t = (x / norm[:, None]) @ turn
-            raw = [v.tobytes() for v in x.astype(kind)]
+            raw = [v.tobytes() for v in x.astype(kind)]  # powers of two: exact in single precision, too
             node = b.column("node").to_numpy()[rows]
             m = b.column("m").to_numpy()[rows]
             at = 0
@@ -182,40 +190,41 @@ def near_duplicates(vectors: DataFrame, cosine: float = 0.9) -> DataFrame:
 
     n_links: other vectors with cosine >= `cosine` in double precision; component_id: the smallest vec_id reachable by
     links, itself included; kept: vec_id = component_id. Vectors that are null, zero, or hold null or non-finite
-    components link with nothing, as do vectors of a length other than the most common one's. Equal vectors link with
-    each other. Rows without vec_id link with nothing and have no component. An empty table gives an empty result.
+    components link with nothing; vectors of unlike lengths never link. Equal vectors link with each other. Rows without vec_id link with nothing and have no component. An empty table gives an empty result.
     """
     # single-precision input travels as such: doubles made of it are the same numbers
     kind = "<f4" if vectors.schema["embedding"].dataType.simpleString() == "array<float>" else "<f8"
     vectors = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
     sized = vectors.where("vec_id is not null and embedding is not null")
-    dim = sized.groupBy(F.size("embedding").alias("d")).count().orderBy(F.desc("count"), "d").first()
-    dim = dim["d"] if dim else 0
     flaw = F.exists("embedding", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) | ~F.exists("embedding", lambda x: x != 0)
-    good = sized.where((F.size("embedding") == dim) & ~flaw) if dim else sized.limit(0)
     # equal vectors are one node, named by a hash
-    named = stored(good.select("vec_id", F.xxhash64("embedding").alias("node"), "embedding"))
+    named = stored(sized.where(~flaw).select("vec_id", F.xxhash64("embedding").alias("node"), F.size("embedding").alias("dim"), "embedding"))
     owners = named.groupBy("node").agg(F.min("vec_id").alias("low"), F.count("*").alias("m"))
-    nodes = stored(named.join(owners, "node").where("vec_id = low").select("node", "m", "low", "embedding").dropDuplicates(["node"]))
-    if dim and nodes.limit(1).count():
-        turn = rotation(nodes.select("embedding"), dim)
+    nodes = stored(named.join(owners, "node").where("vec_id = low").select("node", "m", "low", "dim", "embedding").dropDuplicates(["node"]))
+    found = None
+    # vectors of unlike lengths have no cosine: each length is joined on its own
+    for dim in sorted(r["dim"] for r in nodes.groupBy("dim").count().where("count > 1").select("dim").collect()):
+        mine = nodes.where(F.col("dim") == dim).select("node", "m", "embedding")
+        turn = rotation(mine.select("embedding"), dim)
         share = (2 - 2 * cosine) / BLOCKS
-        cells = nodes.select("node", "m", "embedding").mapInArrow(_cells(dim, turn, share, kind), "block int, cell long, home boolean, node long, m long, v binary")
-        sizes = nodes.select("node", "m", "embedding").mapInArrow(_cells(dim, turn, share, kind), "block int, cell long, home boolean, node long, m long, v binary").groupBy("block", "cell").agg(F.count("*").alias("c"), F.max("home").alias("any"))
+        cells = mine.mapInArrow(_cells(dim, turn, share, kind), "block int, cell long, home boolean, node long, m long, v binary")
+        sizes = cells.groupBy("block", "cell").agg(F.count("*").alias("c"), F.max("home").alias("any"))
         sizes = sizes.where("any").select("block", "cell", F.ceil(F.col("c") / CHUNK).cast("int").alias("k"))
         r = cells.join(sizes, ["block", "cell"]).withColumn("mine", F.pmod(F.xxhash64("node"), F.col("k")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
         r = r.select("block", "cell", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), (F.col("mine") > F.col("other")).cast("int").alias("side"), "home", "node", "m", "v")
-        found = stored(r.groupBy("block", "cell", "i", "j").applyInArrow(_join(dim, turn, share, cosine, kind), "a long, b long, n long"))
+        out = stored(r.groupBy("block", "cell", "i", "j").applyInArrow(_join(dim, turn, share, cosine, kind), "a long, b long, n long"))
+        found = out if found is None else found.unionByName(out)
+    if found is not None:
         links = found.groupBy("a").agg(F.sum("n").alias("n"))
         comp = components(found.where("b is not null").select("a", "b"))
     else:
         links = nodes.select(F.col("node").alias("a"), F.lit(0).cast("long").alias("n"))
         comp = nodes.select("node", F.col("node").alias("component"))
-    per = nodes.drop("embedding").join(links.withColumnRenamed("a", "node"), "node", "left").join(comp, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    per = nodes.drop("embedding", "dim").join(links.withColumnRenamed("a", "node"), "node", "left").join(comp, "node", "left").withColumn("component", F.coalesce("component", "node"))
     lows = per.groupBy("component").agg(F.min("low").alias("component_id"))
     per = per.join(lows, "component").select("node", (F.coalesce("n", F.lit(0)) + F.col("m") - 1).alias("n_links"), "component_id")
     tied = named.select("vec_id", "node").join(per, "node").select("vec_id", "n_links", "component_id")
     rest = vectors.where("vec_id is null").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.lit(None).cast("long").alias("component_id"))
-    lone = vectors.where("vec_id is not null and embedding is null" if not dim else F.col("vec_id").isNotNull() & (F.col("embedding").isNull() | (F.size("embedding") != dim) | F.coalesce(flaw, F.lit(True))))
+    lone = vectors.where(F.col("vec_id").isNotNull() & (F.col("embedding").isNull() | F.coalesce(flaw, F.lit(True))))
     lone = lone.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     return tied.unionByName(lone).unionByName(rest).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(False)))
