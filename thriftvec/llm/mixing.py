@@ -133,6 +133,7 @@ def mix_sources(docs: DataFrame, weights: tuple = WEIGHTS, most: float = MOST, s
     spark = docs.sparkSession
     known = stored(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), "text").mapInArrow(_sizes, "doc_id long, source string, size long"))
     sums = known.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n")).collect()
+    sums.sort(key=lambda r: (r["source"] is None, (r["source"] or "").encode()))  # slots seed the draws
     want = targets({r["source"]: r["source_size"] for r in sums}, weights, most)
     facts = [(i, r["source"], r["source_size"], want[r["source"]], r["n"]) for i, r in enumerate(sums)]
     dims = spark.createDataFrame(facts, "slot int, source string, source_size long, target double, n long")
