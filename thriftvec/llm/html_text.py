@@ -381,12 +381,12 @@ def extract(pages: DataFrame, keep: list[str] | None = None) -> DataFrame:
     """pages with a column html -> columns `keep` (default page_id, url), _text, _n_chars.
 
     Null or empty html, and pages without main text, give an empty text. Repeated rows are treated alike; markup that
-    is cut off or not closed ends where the page ends. An empty table gives an empty result.
+    is cut off or not closed ends where the page ends. An empty table gives an empty result. Other columns are ignored.
     """
     from pyspark.sql import types as T
     from pyspark.sql.pandas.types import to_arrow_schema
 
-    keep = keep or ["page_id", "url"]
+    keep = [c for c in keep or ["page_id", "url"] if c.lower() not in ("_text", "_n_chars")]
     names = [f"c{i}" for i in range(len(keep))]
     d = pages.select(*(F.col(c).alias(n) for c, n in zip(keep, names, strict=True)), F.col("html").alias("html"))
     schema = T.StructType([d.schema[n] for n in names] + [T.StructField("_text", T.StringType()), T.StructField("_n_chars", T.LongType())])

@@ -167,19 +167,18 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, digest: bool = False)
     sha256 of the kept words (_kept_sha256). A word is a run of bytes other than white space of ASCII.
 
     Null or empty texts have no words and stay as they are; rows without doc_id neither lose words nor serve as
-    reference; repeated rows of one doc_id don't count as repeats of each other; documents shorter than the window
+    reference; columns named like the added ones are replaced; repeated rows of one doc_id don't count as repeats of each other; documents shorter than the window
     keep all. An empty table gives an empty result.
     """
     from pyspark.sql import types as T
     from pyspark.sql.pandas.types import to_arrow_schema
 
-    gone = repeats(docs, window).withColumnsRenamed({"doc_id": "_id", "th": "_th"})
-    others = [c for c in docs.columns if c != "text"]
-    j = docs.join(gone.select("_id", "_th", "copy", F.col("gone")).withColumnsRenamed({"copy": "_copy", "gone": "_gone"}), (F.col("doc_id").cast("long") == F.col("_id")) & (F.md5(F.coalesce("text", F.lit(""))) == F.col("_th")), "left")
-    plain = [F.col(c).alias(f"c{i}") for i, c in enumerate(others)]
-    j = j.select(*plain, "text", F.col("_copy").alias("copy"), F.col("_gone").alias("gone"))
-    last = "_kept_sha256" if digest else "_kept"
+    gone = repeats(docs.select("doc_id", "text"), window).withColumnsRenamed({"doc_id": "g_id", "th": "g_th"})
+    others = [c for c in docs.columns if c != "text" and c.lower() not in ("_n_words", "_n_removed", "_kept", "_kept_sha256")]
     names = [f"c{i}" for i in range(len(others))]
+    j = docs.select(*(F.col(c).alias(n) for c, n in zip(others, names, strict=True)), F.col("text").alias("text"), F.col("doc_id").cast("long").alias("d_id"), F.md5(F.coalesce("text", F.lit(""))).alias("d_th"))
+    j = j.join(gone, (F.col("d_id") == F.col("g_id")) & (F.col("d_th") == F.col("g_th")), "left").select(*names, "text", "copy", "gone")
+    last = "_kept_sha256" if digest else "_kept"
     schema = T.StructType([j.schema[n] for n in names] + [T.StructField("_n_words", T.LongType()), T.StructField("_n_removed", T.LongType()), T.StructField(last, T.StringType())])
     out = j.mapInArrow(_cut(window, digest, names, to_arrow_schema(schema)), schema)
     return out.withColumnsRenamed(dict(zip(names, others, strict=True)))
