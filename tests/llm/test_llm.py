@@ -351,7 +351,7 @@ def _small_model(phrase=False):
     if phrase:  # "a" at the beginning of a text
         one, two, word = t.contexts()
         slot = int(two[0] >> np.uint64(54))
-        phrases.check[slot], phrases.follows[slot], phrases.seen[slot] = two[0] & np.uint64(0xFFFFFFFF), word[0], 3
+        phrases.check[slot], phrases.follows[slot], phrases.seen[slot] = two[0] & np.uint64(0xFFFF), word[0], 3
     slots = 1 << 8
     return t.hash, Model(tree, phrases, r.integers(0, 9, 4 * slots + SPELLED + 2 * HITS).astype(np.uint32), slots)
 
