@@ -31,7 +31,7 @@ def query(name: str, sql: str | None = None):
 
 
 def _load() -> None:
-    from .plans import q_corpus, q_graphs, q_relational, q_search, q_vectors, workloads  # noqa: F401
+    from .plans import q_corpus, q_graphs, q_relational, q_relational2, q_search, q_vectors, workloads  # noqa: F401
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

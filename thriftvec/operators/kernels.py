@@ -182,12 +182,17 @@ def select(x: np.ndarray, u: np.ndarray, cand: list[tuple[float, int]], cap: int
     if rule == "closest":
         return cand[:cap]
     factor = relax if rule == "relaxed" else 1.0
+    if not cand:
+        return []
+    at, dist = [v for _, v in cand], np.array([d for d, _ in cand])
+    y, open_ = x[at], np.ones(len(cand), bool)
     kept: list[tuple[float, int]] = []
-    for d, v in cand:
-        if len(kept) == cap:
-            break
-        if all(((x[v] - x[w]) ** 2).sum() * factor > d for _, w in kept):
-            kept.append((d, v))
+    for i in range(len(cand)):
+        if open_[i]:
+            kept.append(cand[i])
+            if len(kept) == cap:
+                break
+            open_ &= ((y - y[i]) ** 2).sum(1) * factor > dist
     return kept
 
 

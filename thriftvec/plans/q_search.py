@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from ..catalog import query
 from ..functions.encoders import Encoder, encode
+from ..operators.baselines import DiskIndex, LayeredIndex
 from ..operators.clusters import ivf_recompute_search, kmeans_fixed, nearest_cells, to_float
 from ..operators.exact import knn_exact
 from ..operators.graphs import access_hist
@@ -130,6 +131,68 @@ def interleaved_alpha(spark, d):
     return rounded(f.result.join(f.stats.select("query_id", F.col("n_encoded").alias("n_recomputed"), "n_batches"), "query_id"), "dist")
 
 
+def layered_vectors(spark, d) -> LayeredIndex:
+    return once(spark, ("layered", d), lambda: LayeredIndex.build(vector_index(spark, d).objects, Encoder("lookup", 64), cap=16))
+
+
+def layered_chunks(spark, d) -> LayeredIndex:
+    return once(spark, ("layered chunks", d), lambda: LayeredIndex.build(chunk_index(spark, d).objects, Encoder("hash_unit", 256)))
+
+
+def disk_chunks(spark, d) -> DiskIndex:
+    return once(spark, ("disk chunks", d), lambda: DiskIndex.build(chunk_index(spark, d).objects, Encoder("hash_unit", 256)))
+
+
+@query("hnsw_full", KNN)
+def hnsw_full(spark, d):
+    """The layered graph with a queue of all nodes: exact."""
+    i = layered_vectors(spark, d)
+    return rounded(i.search(vec_query(spark, d), k=10, ef=i.storage()["nodes"])[0], "dist")
+
+
+@query("hnsw_entry_hub", KNN)
+def hnsw_entry_hub(spark, d):
+    i = layered_vectors(spark, d)
+    return rounded(i.search(vec_query(spark, d), k=10, ef=i.storage()["nodes"], entry="hub")[0], "dist")
+
+
+@query("hnsw_entry_medoid", KNN)
+def hnsw_entry_medoid(spark, d):
+    i = layered_vectors(spark, d)
+    return rounded(i.search(vec_query(spark, d), k=10, ef=i.storage()["nodes"], entry="medoid")[0], "dist")
+
+
+@query("hnsw_sharded_full", KNN)
+def hnsw_sharded_full(spark, d):
+    i = once(spark, ("layered 3", d), lambda: LayeredIndex.build(vector_index(spark, d).objects, Encoder("lookup", 64), cap=16, shards=3))
+    return rounded(i.search(vec_query(spark, d), k=10, ef=i.storage()["nodes"])[0], "dist")
+
+
+@query("disk_graph_full", KNN)
+def disk_graph_full(spark, d):
+    """The graph on disk with a beam of all nodes: exact."""
+    i = once(spark, ("disk", d), lambda: DiskIndex.build(vector_index(spark, d).objects, Encoder("lookup", 64), cap=24, pq_ratio=32, ks=16))
+    return rounded(i.search(vec_query(spark, d), k=10, ef=i.storage()["nodes"])[0], "dist")
+
+
+@query("hnsw_search", "SELECT item_id AS query_id, 3::BIGINT AS found, true AS good FROM benchmark")
+def hnsw_search(spark, d):
+    """A small queue on the chunks: three neighbours each, and nine in ten of the true ones found."""
+    return _floor(spark, d, layered_chunks(spark, d).search(bench_vectors(spark, d), k=3, ef=120)[0])
+
+
+@query("disk_graph_search", "SELECT item_id AS query_id, 3::BIGINT AS found, true AS good FROM benchmark")
+def disk_graph_search(spark, d):
+    return _floor(spark, d, disk_chunks(spark, d).search(bench_vectors(spark, d), k=3, ef=240)[0])
+
+
+def _floor(spark, d, result):
+    from ..operators.measures import mean_recall
+
+    ok = mean_recall(result, chunk_truth(spark, d), 3) >= 0.85
+    return result.groupBy("query_id").agg(F.count("*").alias("found")).withColumn("good", F.lit(ok))
+
+
 @query("approx_variants")
 def approx_variants(spark, d):
     """Cheap distances by codes, by a quarter-width encoder and by codes blended with the neighbours': recall and encodes."""
