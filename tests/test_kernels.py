@@ -87,11 +87,20 @@ def test_hub_rebuild_caps(cloud, how):
 def test_insert_costs_fall(cloud):
     ids, x = cloud
     links = kn.layered_build(ids[:180], x[:180], cap=10, ef=40).layers[0]
+    lists = [sorted(a, key=a.get) for a in links]
     cost = []
     for mode in ("naive", "cached", "light", "simple"):
         cost.append(0)
         for u in range(180, 200):  # each from the same graph, so that the counts compare
-            ls = [dict(a) for a in links] + [{} for _ in range(20)]
-            cost[-1] += kn.insert(ls, x, u, 0, 10, 40, mode, np.round(x, 1)).encodes
-            assert max(len(a) for a in ls) <= 10
+            ls, asked = [list(a) for a in lists] + [[] for _ in range(20)], []
+
+            def encode(nodes, asked=asked):
+                asked.extend(nodes)
+                return x[nodes]
+
+            led = kn.insert(ls, u, x[u], encode, 0, 10, 40, mode, np.round(x, 1) if mode in ("light", "simple") else None)
+            assert led.encodes == len(asked) and u not in asked
+            assert mode == "naive" or len(set(asked)) == len(asked)
+            cost[-1] += led.encodes
+            assert max(len(a) for a in ls) <= 10 and ls[u]
     assert cost[0] > cost[1] >= cost[2] >= cost[3]

@@ -297,56 +297,59 @@ class Ledger:
         return self.search + self.select + self.repair
 
 
-def insert(links: list[dict[int, float]], x: np.ndarray, u: int, entry: int, cap: int, ef: int, mode: str, approx: np.ndarray | None = None) -> Ledger:
-    """Link node u, already in x, into the graph. x stands for the encoder: every use of a row counts as a call.
+def insert(links: list[list[int]], u: int, own: np.ndarray, encode: Callable[[list[int]], np.ndarray], entry: int, cap: int, ef: int, mode: str, approx: np.ndarray | None = None) -> Ledger:
+    """Link node u, whose vector is `own`, into the graph; lists are changed in place. `encode` is called for nodes whose
+    vectors are needed, and for no others; the ledger counts the objects of its calls.
 
-    naive: vectors are asked for again whenever they are needed, in search, pairwise selection and repair of the
-    neighbours' lists; cached: at most once each within the insert; light: selection and repair use cheap distances
-    (`approx`); simple: the nearest are taken without pairwise selection, and repair drops the farthest by known distance.
+    naive: vectors are encoded again whenever they are needed, in search, pairwise selection and repair of the neighbours'
+    lists; cached: at most once each within the insert; light: selection and repair go by `approx`, what the stored codes
+    stand for; simple: the nearest are taken without pairwise selection, and repair drops the farthest by the codes.
     """
-    led, have = Ledger(), {u}
-
-    def ask(nodes, what: str) -> None:
-        if mode == "naive":
-            n = len(nodes)
-        else:
-            n = len([v for v in set(nodes) if v not in have])
-            have.update(nodes)
-        setattr(led, what, getattr(led, what) + n)
-
+    if mode in ("light", "simple") and approx is None:
+        raise ValueError("light and simple inserts need the stored codes")
+    led, have = Ledger(), {u: own.astype(np.float64)}
+
+    def vectors(nodes: list[int], what: str) -> np.ndarray:
+        miss = [v for v in nodes if v != u] if mode == "naive" else [v for v in dict.fromkeys(nodes) if v not in have]
+        if miss:
+            setattr(led, what, getattr(led, what) + len(miss))
+            have.update(zip(miss, encode(miss).astype(np.float64), strict=True))
+        return np.array([have[v] for v in nodes])
+
+    q = have[u]
     eq, seen = Bounded(ef), {entry}
-    ask([entry], "search")
-    eq.offer(float(((x[entry] - x[u]) ** 2).sum()), entry, entry)
+    eq.offer(float(((vectors([entry], "search")[0] - q) ** 2).sum()), entry, entry)
     while (top := eq.next()) is not None:
         eq.visited.add(top[2])
         new = [v for v in links[top[2]] if v not in seen]
         seen.update(new)
-        ask(new, "search")
-        for v in new:
-            eq.offer(float(((x[v] - x[u]) ** 2).sum()), v, v)
-    cand = [(d, v) for d, _, v in eq.rows if v != u]
+        if new:
+            for v, d in zip(new, ((vectors(new, "search") - q) ** 2).sum(1).tolist(), strict=True):
+                eq.offer(d, v, v)
 
-    def choose(node: int, rows: list[tuple[float, int]], what: str) -> list[tuple[float, int]]:
+    def apart(a: int, others: list[int], what: str) -> np.ndarray:
+        """Squared distances of node a to others, by codes or by vectors."""
+        if mode in ("light", "simple"):
+            led.cheap += len(others)
+            return ((approx[others] - approx[a]) ** 2).sum(1)
+        got = vectors([a, *others], what)
+        return ((got[1:] - got[0]) ** 2).sum(1)
+
+    def choose(rows: list[tuple[float, int]], what: str) -> list[int]:
         if mode == "simple":
-            return sorted(rows)[:cap]
-        y = approx if mode == "light" and approx is not None else x
-        kept: list[tuple[float, int]] = []
+            return [v for _, v in sorted(rows)[:cap]]
+        kept: list[int] = []
         for d, v in sorted(rows):
             if len(kept) == cap:
                 break
-            if mode == "light":
-                led.cheap += len(kept) + 1
-            elif mode == "naive":
-                ask([v] + [w for _, w in kept], what)
-            else:
-                ask([v], what)
-            if all(((y[v] - y[w]) ** 2).sum() > d for _, w in kept):
-                kept.append((d, v))
+            if not kept or (apart(v, kept, what) > d).all():
+                kept.append(v)
         return kept
 
-    for d, v in choose(u, cand, "select"):
-        links[u][v] = d
-        links[v][u] = d
+    links[u] = choose([(d, v) for d, _, v in eq.rows if v != u], "select")
+    for v in links[u]:
+        links[v].append(u)
         if len(links[v]) > cap:
-            links[v] = {w: e for e, w in choose(v, [(e, w) for w, e in links[v].items()], "repair")}
+            mine = links[v]
+            links[v] = choose(list(zip(apart(v, mine, "repair").tolist(), mine, strict=True)), "repair")
     return led

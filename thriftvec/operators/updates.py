@@ -2,50 +2,79 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.encoders import Encoder
+from ..functions.encoders import Encoder, Meter
 from .kernels import insert
 
+_SCHEMA = pa.schema([("shard", pa.int32()), ("node_id", pa.int64()), ("kind", pa.string()), *((c, pa.int64()) for c in ("search", "choose", "repair", "cheap", "called")), ("nbrs", pa.list_(pa.int64()))])
 MODES = ("naive", "cached", "light", "simple")
 
 
-def insert_batch(nodes: DataFrame, rows: DataFrame, encoder: Encoder, cap: int = 18, ef: int = 60, mode: str = "simple") -> tuple[DataFrame, DataFrame]:
-    """nodes(shard, node_id, text, nbrs), rows(shard, node_id, text) -> (changed lists: shard, node_id, nbrs; ledger per insert).
+def insert_batch(nodes: DataFrame, rows: DataFrame, encoder: Encoder, cap: int = 18, ef: int = 60, mode: str = "simple", codebook: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """nodes(shard, node_id, text, nbrs[, code]), rows(shard, node_id, text) -> (lists: shard, node_id, nbrs; ledger per
+    insert).
 
-    A task holds one shard; an existing id is replaced. The ledger counts encoder calls by purpose.
+    A task holds one shard; an existing id is replaced. Vectors are encoded when an insert asks for them, and then only.
+    The ledger counts encoder calls by purpose; `called` is what the encoder's own meter saw during the insert. The light
+    and the simple form read the stored codes and need `codebook`.
     """
+    from ..sources.storage import stored
+    from .pq import codebook_array, encode_rows
+
     if mode not in MODES:
         raise ValueError(f"unknown mode {mode}")
+    by_code = mode in ("light", "simple")
+    if by_code and codebook is None:
+        raise ValueError(f"{mode} inserts need the codebook")
+    book = codebook_array(codebook) if by_code else None
+    nodes = nodes.select("shard", "node_id", "text", "nbrs", *(["code"] if by_code else []))
 
-    def run(key, old: pd.DataFrame, new: pd.DataFrame) -> pd.DataFrame:
-        new = new.drop_duplicates("node_id").sort_values("node_id")
-        old = old[~old["node_id"].isin(set(new["node_id"]))].sort_values("node_id")
-        ids = np.r_[old["node_id"].to_numpy(np.int64), new["node_id"].to_numpy(np.int64)]
-        at = {int(i): n for n, i in enumerate(ids)}
-        x = encoder.encode([*old["text"], *new["text"]]).astype(np.float64)
-        coarse = np.round(x * 32) / 32  # the light form's stand-in for codes
-        links: list[dict[int, float]] = [{at[v]: float(((x[at[v]] - x[at[int(u)]]) ** 2).sum()) for v in (a if a is not None else []) if v in at} for u, a in zip(old["node_id"], old["nbrs"], strict=True)]
-        links += [{} for _ in range(len(new))]
+    def decoded(codes: np.ndarray) -> np.ndarray:
+        return np.concatenate([book[s][codes[:, s]] for s in range(len(book))], 1).astype(np.float64)
+
+    def run(key, old, new):
+        shard = (key[0]).as_py()
+        fresh = dict(zip(new.column("node_id").to_pylist(), new.column("text").to_pylist(), strict=True))
+        old = old.filter(pc.invert(pc.is_in(old.column("node_id"), pa.array(list(fresh), pa.int64())))).sort_by("node_id")
+        added = sorted(fresh)
+        ids = [*old.column("node_id").to_pylist(), *added]
+        texts = [*old.column("text").to_pylist(), *(fresh[i] for i in added)]
+        at = {i: n for n, i in enumerate(ids)}
+        meter = Meter()
+        ask = replace(encoder, meter=meter)
+        links: list[list[int]] = [[at[v] for v in (a or []) if v in at] for a in old.column("nbrs").to_pylist()] + [[] for _ in added]
+        approx = None
+        if by_code:
+            code = old.column("code").to_pylist()
+            approx = np.zeros((len(ids), sum(b.shape[1] for b in book)))
+            if code:
+                approx[: len(code)] = decoded(np.frombuffer(b"".join(code), np.uint8).reshape(len(code), -1))
         out = []
-        entry = int(np.argmax([len(a) for a in links[: len(old)]])) if len(old) else -1
-        for u in range(len(old), len(ids)):
+        n_old = old.num_rows
+        entry = int(np.argmax([len(a) for a in links[:n_old]])) if n_old else -1
+        for u in range(n_old, len(ids)):
+            own = ask.encode([texts[u]])[0]
+            if by_code:
+                approx[u] = decoded(encode_rows(own[None].astype(np.float32), book))[0]
             if entry < 0:
                 entry = u
                 continue
-            led = insert(links, x, u, entry, cap, ef, mode, coarse)
-            out.append((int(ids[u]), "ledger", led.search, led.select, led.repair, led.cheap, None))
-        out += [(int(ids[u]), "list", 0, 0, 0, 0, [int(ids[v]) for v in sorted(a, key=lambda v, a=a: (a[v], ids[v]))]) for u, a in enumerate(links)]
-        return pd.DataFrame(out, columns=["node_id", "kind", "search", "choose", "repair", "cheap", "nbrs"]).assign(shard=int(key[0]))
-
-    both = nodes.groupBy("shard").cogroup(rows.groupBy("shard")).applyInPandas(run, "node_id long, kind string, search long, choose long, repair long, cheap long, nbrs array<long>, shard int")
-    from ..sources.storage import stored
+            before = meter.objects
+            led = insert(links, u, own, lambda miss: ask.encode([texts[v] for v in miss]), entry, cap, ef, mode, approx)
+            out.append((shard, ids[u], "ledger", led.search, led.select, led.repair, led.cheap, meter.objects - before, None))
+        out += [(shard, ids[u], "list", 0, 0, 0, 0, 0, [ids[v] for v in a]) for u, a in enumerate(links)]
+        return pa.table([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), _SCHEMA, strict=True)], schema=_SCHEMA) if out else _SCHEMA.empty_table()
 
-    both = stored(both)
-    ledger = both.where("kind = 'ledger'").select("node_id", F.lit(mode).alias("mode"), "search", "choose", "repair", "cheap", (F.col("search") + F.col("choose") + F.col("repair")).alias("encodes"))
+    both = nodes.groupBy("shard").cogroup(rows.select("shard", "node_id", "text").groupBy("shard"))
+    both = stored(both.applyInArrow(run, "shard int, node_id long, kind string, search long, choose long, repair long, cheap long, called long, nbrs array<long>"))
+    ledger = both.where("kind = 'ledger'").select("node_id", F.lit(mode).alias("mode"), "search", "choose", "repair", "cheap", "called", (F.col("search") + F.col("choose") + F.col("repair")).alias("encodes"))
     return both.where("kind = 'list'").select("shard", "node_id", "nbrs"), ledger
 
 

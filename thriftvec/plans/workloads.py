@@ -20,18 +20,17 @@ from ..operators.baselines import smallest_ef
 from ..operators.bm25 import bm25_build, bm25_bytes, bm25_search
 from ..operators.exact import knn_exact
 from ..operators.search import VectorIndex
-from ..operators.updates import MODES, insert_batch
 from ..sources.storage import stored
 from .inputs import bench_queries, objects, table
 from .q_relational import LATENCY
-from .q_search import bench_vectors, chunk_index, chunk_truth, disk_chunks, layered_chunks, once
+from .q_search import bench_vectors, chunk_index, chunk_truth, disk_chunks, layered_chunks, ledgers, new_and_old, once
 
 EF = (20, 40, 60, 100, 160)
 
 
 def query_sets(spark, d) -> dict[str, DataFrame]:
     """Five sets of (query_id, text): items found verbatim in a document, other items, off-corpus strings (every part whose
-    id is divisible by 20), two-hop pairs, and the chunks themselves (ids divisible by 20)."""
+    id is divisible by 20), two-hop pairs, and a twentieth of the chunks themselves, drawn by hash."""
 
     def make():
         b = bench_queries(spark, d)
@@ -39,7 +38,7 @@ def query_sets(spark, d) -> dict[str, DataFrame]:
         hit = stored(hit)
         nxt = b.select((F.col("query_id") - 1).alias("query_id"), F.col("text").alias("more"))
         part = table(spark, d, "part").where("p_partkey % 20 = 0").select(F.col("p_partkey").alias("query_id"), F.concat_ws(" ", "p_name", "p_type").alias("text"))
-        mine = chunk_index(spark, d).objects.where("node_id % 20 = 0").select(F.col("node_id").alias("query_id"), "text")
+        mine = chunk_index(spark, d).objects.where("pmod(xxhash64(node_id), 20) = 0").select(F.col("node_id").alias("query_id"), "text")
         return {"verbatim": b.join(hit, "query_id", "left_semi"), "absent": b.join(hit, "query_id", "left_anti"), "off_corpus": part, "two_hop": b.join(nxt, "query_id").select("query_id", F.concat_ws(" ", "text", "more").alias("text")), "self": mine}
 
     return once(spark, ("sets", d), make)
@@ -231,7 +230,7 @@ def w4(spark, d):
         obj = stored(obj.where("text is not null").dropDuplicates(["text"]))
         i = VectorIndex.build(obj, enc, k=9)
         v = stored(encode(obj, enc, "node_id"))
-        q = stored(v.where("node_id % 20 = 0").select(F.col("node_id").alias("query_id"), F.col("v").alias("qv")))
+        q = stored(v.where("pmod(xxhash64(node_id), 20) = 0").select(F.col("node_id").alias("query_id"), F.col("v").alias("qv")))
         f = i.search(q, k=3, ef=60, alpha=0.3)
         size = i.storage()
         rows.append((name, size["nodes"], ms.mean_recall(f.result, knn_exact(v, q, 3), 3), float(f.stats.agg(F.avg("n_encoded")).first()[0]), 100 * (1 - (size["csr"] + size["codes"]) / (size["padded"] + size["vectors"]))))
@@ -307,17 +306,16 @@ def w8(spark, d):
 
 @query("w9_updates")
 def w9(spark, d):
-    """Encodes of an insert by grade, and the saving against the naive one."""
-    i = chunk_index(spark, d)
-    new = stored(i.objects.where(F.pmod(F.xxhash64("node_id"), F.lit(40)) == 0).select(F.lit(0).alias("shard"), "node_id", "text"))
-    old = stored(i.rows(None).join(new.select("node_id"), "node_id", "left_anti").select("shard", "node_id", "text", "nbrs"))
+    """Encodes of an insert by grade, counted by the encoder's meter, the saving against the naive one, and a buffered add, which
+    encodes the object alone."""
     rows, base = [], None
-    for mode in MODES:
-        t = time.perf_counter()
-        r = insert_batch(old, new, i.encoder, cap=18, ef=40, mode=mode)[1].agg(F.count("*"), F.avg("encodes")).first()
+    for mode, led in ledgers(spark, d)[0].items():
+        r = led.agg(F.count("*"), F.avg("called")).first()
         base = base or r[1]
-        rows.append((mode, r[0], float(r[1]), float(base / r[1]), time.perf_counter() - t))
-    return _frame(spark, rows, "mode string, inserts long, encodes double, fewer double, seconds double")
+        rows.append((mode, r[0], float(r[1]), float(base / r[1])))
+    i, new, _ = new_and_old(spark, d)
+    rows.append(("buffered", encode(new, i.encoder, "node_id").count(), 1.0, float(base)))
+    return _frame(spark, rows, "mode string, inserts long, encodes double, fewer double")
 
 
 @query("w10_shards")
@@ -387,16 +385,23 @@ def w14(spark, d):
 
 @query("w15_popularity")
 def w15(spark, d):
-    """Rank-skewed replay of the questions: share of encodes that a cache of the hottest 5% of nodes would save."""
+    """Rank-skewed replay of the questions: the cache of the hottest 5% of nodes is built from the first half of the replay and
+    run on the second: encodes without and with it, and whether results agree."""
     i = chunk_index(spark, d)
-    f = i.search(bench_vectors(spark, d), k=3, ef=60, alpha=0.3, return_trace=True)
-    n = bench_vectors(spark, d).count()
+    q, n = bench_vectors(spark, d), bench_vectors(spark, d).count()
+    f = i.search(q, k=3, ef=60, alpha=0.3, return_trace=True)
     u = F.conv(F.substring(F.md5(F.col("event_id").cast("string")), 1, 8), 16, 10).cast("double") / (1 << 32)
-    replay = table(spark, d, "events").select(F.floor(F.lit(n) * F.pow(u, 3)).alias("query_id")).groupBy("query_id").agg(F.count("*").alias("times"))
-    use = f.trace.select("query_id", "node_id").join(replay, "query_id").groupBy("node_id").agg(F.sum("times").alias("n"))
+    replay = table(spark, d, "events").select(F.floor(F.lit(n) * F.pow(u, 3)).alias("query_id"), (F.dayofmonth("ts") <= 15).alias("early"))
+    times = stored(replay.groupBy("query_id", "early").agg(F.count("*").alias("times")))
+    pop = f.trace.select("query_id", "node_id").join(times.where("early"), "query_id").groupBy("node_id").agg(F.sum("times").alias("n"))
     k = max(1, i.objects.count() // 20)
-    hot = use.orderBy(F.desc("n"), "node_id").limit(k).agg(F.sum("n").alias("h"))
-    return use.agg(F.sum("n").alias("all")).crossJoin(hot).select(F.lit(k).alias("cached"), F.col("all").alias("accesses"), F.col("h").alias("hits"), F.round(F.col("h") / F.col("all"), 6).alias("hit_rate"))
+    c = stored(i.with_cache(4 * i.meta["dim"] * k, stored(pop)))
+    with_cache = i.search(q, k=3, ef=60, alpha=0.3, cache=c)
+    late = times.where("not early")
+    cost = lambda s: float(s.join(late, "query_id").agg(F.sum(F.col("n_encoded") * F.col("times")) / F.sum("times")).first()[0])
+    a, b = cost(f.stats), cost(with_cache.stats)
+    same = f.result.select("query_id", "rank", "node_id").exceptAll(with_cache.result.select("query_id", "rank", "node_id")).count() == 0
+    return _frame(spark, [(k, a, b, 1 - b / a, same)], "cached long, encodes double, encodes_cached double, hit_rate double, same_results boolean")
 
 
 @query("w16_coorder_graph")
