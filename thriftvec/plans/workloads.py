@@ -76,7 +76,7 @@ def _methods(spark, d):
     return {"recompute_all": {"mode": "recompute", "batch_target": None}, "interleaved": {"mode": "interleaved", "alpha": 0.3, "batch_target": None}, "batched": {"mode": "interleaved", "alpha": 0.3, "batch_target": 64}}
 
 
-def methods(spark, d, q: DataFrame, texts: DataFrame, truth: DataFrame, target: float = 0.9) -> dict:
+def methods(spark, d, q: DataFrame, texts: DataFrame, truth: DataFrame, target: float = 0.9, efs: tuple = (20, 40, 80, 160, 320, 640), probes: tuple = (1, 2, 4, 8, 16, 32)) -> dict:
     """Each method on its own index, with the smallest queue or number of probes that reaches the recall, all nodes or cells
     at last: name -> run() giving (effort or None, recall, result, objects encoded or read per query)."""
     i = chunk_index(spark, d)
@@ -94,14 +94,14 @@ def methods(spark, d, q: DataFrame, texts: DataFrame, truth: DataFrame, target:
 
     def by_ef(search, c):
         def run():
-            ef, r, res, counts = smallest_ef(search, truth, 3, target, n)
+            ef, r, res, counts = smallest_ef(search, truth, 3, target, n, efs)
             return ef, r, res, mean(counts, c)
 
         return run
 
     def by_probes(search, c=None):
         def run():
-            for p in (1, 2, 4, 8, 16, 32, 64, cents.count()):
+            for p in (*probes, cents.count()):
                 res, counts = search(p)
                 res = stored(res)
                 r = ms.mean_recall(res, truth, 3)
@@ -201,7 +201,7 @@ def w3(spark, d):
     gen = {"verbatim": 20.86, "off_corpus": 69.60, "absent": 17.17, "two_hop": 23.28, "self": 20.86}
     for name, texts in query_sets(spark, d).items():
         q, truth = vectors_of(spark, d, name), truth_of(spark, d, name)
-        for m, run in methods(spark, d, q, texts, truth).items():
+        for m, run in methods(spark, d, q, texts, truth, efs=(20, 80, 320), probes=(2, 8, 32)).items():
             t = time.perf_counter()
             effort, r, _, cost = run()
             sec = time.perf_counter() - t
