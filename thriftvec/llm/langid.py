@@ -3,7 +3,8 @@
 The kernel of two texts is the number of character n-grams (1 to 4) that both have, over the root of the product of
 their numbers: a blended-spectrum presence kernel. Landmarks drawn from the labelled texts turn it into features by
 Nyström's method, and kernel ridge regression, one language against the rest, is solved on a bounded labelled sample.
-Scoring is one matrix product of presence rows with landmarks and one with the regression weights per batch of texts.
+Scoring a batch of texts is a product of their presence rows with landmarks times regression weights; the latter product is
+the same for all texts and made once.
 
 n-grams are told apart by `BUCKETS` hash buckets. White space counts as one space; case is ignored. The score is the
 winner's share of all languages' positive outputs, so that it does not depend on a text's length.
@@ -55,7 +56,7 @@ def presence(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
 
 
 class KernelModel:
-    """languages, landmark presence (scaled; one row for each bucket) and regression weights."""
+    """Languages, landmark presence (scaled; one row for each bucket) and regression weights."""
 
     def __init__(self, langs: list[str], marks: np.ndarray, weights: np.ndarray):
         self.langs, self.marks, self.weights = langs, marks, weights
@@ -67,8 +68,22 @@ class KernelModel:
         out = np.add.reduceat(self.marks[buckets], start, axis=0) if len(rows) else np.zeros((texts, self.marks.shape[1]), np.float32)
         return out / np.sqrt(np.maximum(size, 1))[:, None]
 
+    def scorer(self) -> Scorer:
+        return Scorer(self.langs, np.ascontiguousarray((self.marks @ self.weights).T))
+
+
+class Scorer:
+    """Languages and, for each, what an n-gram of each bucket adds."""
+
+    def __init__(self, langs: list[str], adds: np.ndarray):
+        self.langs, self.adds = langs, adds
+
     def scores(self, texts: list[str]) -> np.ndarray:
-        return self.kernel(*presence(texts), len(texts)) @ self.weights
+        rows, buckets = presence(texts)
+        start = np.searchsorted(rows, np.arange(len(texts)))
+        size = np.diff(np.r_[start, len(rows)])
+        total = np.stack([np.add.reduceat(a[buckets], start, dtype=np.float64) for a in self.adds], 1)
+        return total / np.sqrt(size)[:, None]
 
 
 def fit(buckets: list[np.ndarray], labels: list[str]) -> KernelModel:
@@ -157,5 +172,5 @@ def identify(docs: DataFrame, model: KernelModel, keep: list[str] | None = None)
     names = [f"c{i}" for i in range(len(keep))]
     d = docs.select(*(F.col(c).alias(n) for c, n in zip(keep, names, strict=True)), F.col("text").alias("text"))
     schema = T.StructType([d.schema[n] for n in names] + [T.StructField("_lang", T.StringType()), T.StructField("_score", T.DoubleType())])
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = docs.sparkSession.sparkContext.broadcast(model.scorer())
     return d.mapInArrow(_predict(shared, names, to_arrow_schema(schema)), schema).withColumnsRenamed(dict(zip(names, keep, strict=True)))
