@@ -104,3 +104,54 @@ def test_insert_costs_fall(cloud):
             cost[-1] += led.encodes
             assert max(len(a) for a in ls) <= 10 and ls[u]
     assert cost[0] > cost[1] >= cost[2] >= cost[3]
+
+
+def test_full_queue_is_visited_in_rounds_by_all_queries_together(cloud, monkeypatch):
+    """A queue of all nodes gives what the step-by-step traversal gives, fetches each vector once and keeps no O(n) scan."""
+    import pyarrow as pa
+
+    from thriftvec.functions.encoders import Encoder
+    from thriftvec.operators import search as se
+    from thriftvec.plans.planner import SearchSpec
+
+    ids, x = cloud
+    lists = [sorted(a) for a in kn.layered_build(ids, x, cap=12, ef=60).layers[0]]
+    nodes = pa.table({"node_id": ids, "nbrs": lists, "code": pa.nulls(len(ids), pa.binary()), "text": [",".join(map(str, v)) for v in x]})
+    asked, plain = [], Encoder.encode
+    monkeypatch.setattr(Encoder, "encode", lambda self, texts: asked.append(len(texts)) or plain(self, texts))
+    qs = pa.table({"query_id": [1, 2, 3], "qv": [list(v) for v in x[:3] + 0.01]})
+    for target in (None, 64, 1):
+        asked.clear()
+        spec = SearchSpec(k=5, ef=200, mode="recompute", batch_target=target)
+        out = se.run_queries(nodes, qs, spec, Encoder("lookup", 8), None, None, False).to_pylist()
+        once = sum(asked)
+        assert max(asked) <= (target or 200)
+        slow = se.run_queries(nodes, qs, spec, Encoder("lookup", 8), None, None, True).to_pylist()
+        key = lambda rows: [(r["query_id"], r["node_id"], r["dist"]) for r in rows if r["kind"] == "r"]
+        count = lambda rows: [(r["step"], r["a"], r["c"]) for r in rows if r["kind"] == "s"]
+        assert key(out) == key(slow) and count(out) == count(slow) == [(once, once, once)] * 3
+
+
+def test_queue_keeps_the_nearest_to_visit():
+    r = np.random.default_rng(5)
+    q = kn.Bounded(7)
+    for i, d in enumerate(r.random(60).tolist()):
+        q.offer(d, i, i)
+        if i % 3 == 0:
+            want = next((x for x in q.rows if x[2] not in q.visited), None)
+            assert q.next() == want
+            if want:
+                q.visited.add(want[2])
+    left = [x for x in q.rows if x[2] not in q.visited]
+    assert q.take(3) == left[:3] and q.take(9) == left[3:] and q.next() is None
+
+
+def test_every_node_leads_to_every_other():
+    from thriftvec.operators.baselines import connect
+
+    x = np.arange(12.0).reshape(6, 2)
+    links = [{1: 1.0}, {}, {1: 1.0}, {4: 1.0}, {3: 1.0}, {}]
+    connect(links, x, 0)
+    off = np.cumsum([0, *map(len, links)])
+    nb = np.array([v for a in links for v in a])
+    assert all(sum(map(len, kn.waves(off, nb, u))) == 6 for u in range(6))
