@@ -17,8 +17,8 @@ from pyspark.sql import functions as F
 from ..functions.encoders import Encoder
 from ..sources.storage import stored
 from . import pq as pqm
-from .exact import matrix, top_k
-from .kernels import Bounded, _search_layer, layered_build
+from .exact import matrix, nearest_rows, top_k
+from .kernels import Bounded, _exact, _search_layer, layered_build, waves
 
 SHARD = 4096  # objects that one task builds
 SECTOR = 4096  # bytes that a read from disk brings
@@ -28,23 +28,48 @@ _FIELDS = pa.schema([("query_id", pa.int64()), ("node_id", pa.int64()), ("dist",
 
 
 def connect(links: list[dict[int, float]], x: np.ndarray, entry: int) -> None:
-    """Nodes that cuts have left unreachable get a link from the nearest reachable node."""
-    seen, todo = {entry}, [entry]
-    while True:
-        while todo:
-            for v in links[todo.pop()]:
-                if v not in seen:
-                    seen.add(v)
-                    todo.append(v)
-        lost = next((u for u in range(len(links)) if u not in seen), None)
-        if lost is None:
-            return
-        near = np.array(sorted(seen))
-        d = ((x[near] - x[lost]) ** 2).sum(1)
-        i = int(np.argmin(d))
-        links[int(near[i])][lost] = float(d[i])
-        seen.add(lost)
-        todo.append(lost)
+    """Nodes that cuts have left out of reach get a link from the nearest reachable node; nodes that the entry is out of
+    reach of get one to the nearest that reaches it. So every node leads to every other."""
+    for back in (False, True):
+        ways: list[list[int]] = [[] for _ in links] if back else [list(a) for a in links]
+        if back:
+            for u, a in enumerate(links):
+                for v in a:
+                    ways[v].append(u)
+        seen, todo = {entry}, [entry]
+        while True:
+            while todo:
+                for v in ways[todo.pop()]:
+                    if v not in seen:
+                        seen.add(v)
+                        todo.append(v)
+            lost = next((u for u in range(len(links)) if u not in seen), None)
+            if lost is None:
+                break
+            near = np.array(sorted(seen))
+            d = ((x[near] - x[lost]) ** 2).sum(1)
+            i = int(np.argmin(d))
+            u, v = (lost, int(near[i])) if back else (int(near[i]), lost)
+            links[u][v] = float(d[i])
+            seen.add(lost)
+            todo.append(lost)
+
+
+class _Reach:
+    """What a queue with room for all nodes visits from an entry; nearly always all nodes, which are kept once."""
+
+    def __init__(self, lists: list[list[int]]):
+        self.offsets = np.cumsum([0, *map(len, lists)])
+        self.nbrs = np.fromiter((v for a in lists for v in a), np.int64, int(self.offsets[-1]))
+        self.all, self.known = np.arange(len(lists)), {}
+
+    def __call__(self, entry: int) -> tuple[np.ndarray, list[int]]:
+        """(nodes visited, nodes of each round)."""
+        if entry not in self.known:
+            w = waves(self.offsets, self.nbrs, entry)
+            size = [len(a) for a in w]
+            self.known[entry] = (self.all if sum(size) == len(self.all) else np.sort(np.concatenate(w)), size)
+        return self.known[entry]
 
 
 def _shards(objects: DataFrame, shards: int | None) -> tuple[DataFrame, int]:
@@ -103,6 +128,7 @@ class LayeredIndex:
         def one(key, left, right):
             if not left.num_rows or not right.num_rows:
                 return _rows([])
+            right = right.sort_by("node_id")  # equal distances go by the smaller id
             ids = right.column("node_id").to_numpy()
             at = {int(i): u for u, i in enumerate(ids)}
             x = matrix(right.column("v")).astype(np.float64)
@@ -116,12 +142,18 @@ class LayeredIndex:
             elif entry == "medoid":
                 top = int(np.argmin(((x - x.mean(0)) ** 2).sum(1)))
             out = []
+            reach = _Reach([list(a) for a in layers[0]]) if ef >= len(ids) else None
             for q, v in zip(left.column("query_id").to_pylist(), matrix(left.column("qv")).astype(np.float64), strict=True):
                 near = [top]
                 for a in range(len(layers) - 1 if entry == "top" else 0, 0, -1):
                     near = [n for _, n in _search_layer(x, v, layers[a], near, 1)]
-                found = _search_layer(x, v, layers[0], near, ef)
-                out += [(q, int(ids[n]), d, 0, 0, 0) for d, n in sorted((d, n) for d, n in found)[:k]]
+                if reach:
+                    found, _ = reach(near[0])
+                    d = _exact("l2", v, x[found])
+                    out += [(q, int(ids[found[i]]), float(d[i]), 0, 0, 0) for i in nearest_rows(d, ids[found], k)]
+                else:
+                    found = _search_layer(x, v, layers[0], near, ef)
+                    out += [(q, int(ids[n]), d, 0, 0, 0) for d, n in sorted((d, n) for d, n in found)[:k]]
                 out.append((q, None, None, len(found), 0, 0))
             return _rows(out)
 
@@ -186,20 +218,34 @@ class DiskIndex:
             sectors = right.column("sector")
             start = int(np.flatnonzero(right.column("entry").to_numpy(zero_copy_only=False))[0])
             out = []
+
+            def read(u: int) -> tuple[np.ndarray, np.ndarray]:
+                raw = sectors[u].as_py()
+                n = int(np.frombuffer(raw, "<u4", 1, 4 * dim)[0])
+                return np.frombuffer(raw, "<f4", dim), np.searchsorted(ids, np.frombuffer(raw, "<i8", n, 4 * dim + 4))
+
+            if ef >= len(ids):  # every query reads all sectors within reach: they are read once for all
+                x, lists = zip(*map(read, range(len(ids))), strict=True)
+                x = np.array(x)
+                found, sizes = _Reach([a.tolist() for a in lists])(start)
+                steps = sum(-(-n // BEAM) for n in sizes)
             for q, v in zip(left.column("query_id").to_pylist(), matrix(left.column("qv")), strict=True):
+                if ef >= len(ids):
+                    d = _exact("l2", v, x[found])
+                    out += [(q, int(ids[found[i]]), float(d[i]), 0, 0, 0) for i in nearest_rows(d, ids[found], k)]
+                    out.append((q, None, None, steps, len(found), len(found) - 1))
+                    continue
                 table = pqm.adc_table(v.astype(np.float32), book)
                 eq, seen, exact = Bounded(ef), {start}, []
                 eq.offer(float(pqm.adc(table, codes[[start]])[0]), int(ids[start]), start)
                 steps = cheap = 0
-                while batch := [r for r in eq.rows if r[2] not in eq.visited][:BEAM]:
+                while batch := eq.take(BEAM):
                     steps += 1
                     new: dict[int, None] = {}
                     for _, key_id, u in batch:
-                        eq.visited.add(u)
-                        raw = sectors[u].as_py()
-                        exact.append((float(((np.frombuffer(raw, "<f4", dim).astype(np.float64) - v) ** 2).sum()), key_id))
-                        n = int(np.frombuffer(raw, "<u4", 1, 4 * dim)[0])
-                        new |= dict.fromkeys(np.searchsorted(ids, np.frombuffer(raw, "<i8", n, 4 * dim + 4)).tolist())
+                        own, nb = read(u)
+                        exact.append((float(((own.astype(np.float64) - v) ** 2).sum()), key_id))
+                        new |= dict.fromkeys(nb.tolist())
                     fresh = [w for w in new if w not in seen]
                     seen.update(fresh)
                     cheap += len(fresh)
