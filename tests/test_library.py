@@ -166,3 +166,37 @@ def test_answer_windows(spark, monkeypatch):
     found = spark.createDataFrame([(i, 1) for i, _ in gold], "query_id long, node_id long")
     got = {r["query_id"]: r["f1"] for r in workloads.answers(spark, "", found).collect()}
     assert got == {**dict.fromkeys(range(31), 1.0), 31: round(80 / 81, 6)}
+
+
+@pytest.mark.parametrize("name", ["knn_l2", "range_search", "ivf_search_all", "pq_adc_topk", "knn_sparse_docs"])
+def test_pairs_are_no_rows(spark, sf, name):
+    """Searches of many queries keep pairs inside tasks: no join of rows with queries, terms or look-up tables."""
+    from thriftvec import catalog
+
+    plan = catalog.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    scans = plan.split("MapInArrow")[0]
+    assert "MapInArrow" in plan and "Join" not in scans
+
+
+def test_copies_tie_in_every_block(spark):
+    """Distances of equal vectors are equal wherever the rows lie, and large groups of copies go by id."""
+    r = np.random.default_rng(7)
+    x = r.normal(size=(1500, 16)).astype("float32")
+    x[400:1400] = x[3]
+    x[20, 0] = np.nan
+    rows = [(i, [float(v) for v in x[i]]) for i in r.permutation(1500).tolist()] + [(9000, None)]
+    base = spark.createDataFrame(rows, "node_id long, v array<float>").repartition(3)
+    q = base.where("node_id in (3, 5, 700)").select(F.col("node_id").alias("query_id"), F.col("v").alias("qv"))
+    for metric in ("l2", "cosine", "ip"):
+        got, want = ([tuple(r) for r in knn_exact(base, q, 12, metric, plan=p).orderBy("query_id", "rank").collect()] for p in ("blocked", "expr"))
+        want = [w for w in want if not np.isnan(w[3])]
+        assert got == want
+    assert [r["node_id"] for r in knn_exact(base, q.where("query_id = 3"), 4).orderBy("rank").collect()] == [3, 400, 401, 402]
+
+
+def test_sparse_search_needs_a_shared_coordinate(spark):
+    from thriftvec.operators.exact import knn_exact_sparse
+
+    rows = spark.createDataFrame([(1, [1, 1, -2]), (2, [3]), (3, []), (4, [2, -2, -1]), (5, None)], "node_id long, at array<int>")
+    q = spark.createDataFrame([(7, 0, 2), (7, 1, 1)], "query_id long, dim int, v long")
+    assert [tuple(r) for r in knn_exact_sparse(rows, q, 5, 4).orderBy("rank").collect()] == [(7, 1, 1, -3), (7, 2, 4, 2)]

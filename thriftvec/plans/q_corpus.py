@@ -4,7 +4,7 @@ from pyspark.sql import functions as F
 
 from ..catalog import query
 from ..functions import text as tx
-from ..functions.encoders import encode_int
+from ..functions.encoders import encode_int, encode_int_rows
 from ..operators.bm25 import bm25_build, bm25_search
 from ..operators.exact import knn_exact_sparse
 from .inputs import CHUNKS, bench_queries, chunks, table
@@ -60,7 +60,7 @@ qe AS (SELECT query_id, (h % 256)::INT AS dim, sum(CASE WHEN (h >> 16) & 1 = 1 T
 s AS (SELECT query_id, chunk_id AS node_id, sum(-v * w)::BIGINT AS dist FROM e1 JOIN qe USING (dim) GROUP BY 1, 2)
 SELECT query_id, rank::INT AS rank, node_id, dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, node_id) AS rank FROM s) WHERE rank <= 5""")
 def knn_sparse_docs(spark, d):
-    terms = encode_int(chunks(spark, d)).withColumnRenamed("chunk_id", "node_id")
+    terms = encode_int_rows(chunks(spark, d)).withColumnRenamed("chunk_id", "node_id")
     q = encode_int(bench_queries(spark, d), key="query_id")
     return knn_exact_sparse(terms, q, 5)
 
