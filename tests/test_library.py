@@ -200,3 +200,18 @@ def test_sparse_search_needs_a_shared_coordinate(spark):
     rows = spark.createDataFrame([(1, [1, 1, -2]), (2, [3]), (3, []), (4, [2, -2, -1]), (5, None)], "node_id long, at array<int>")
     q = spark.createDataFrame([(7, 0, 2), (7, 1, 1)], "query_id long, dim int, v long")
     assert [tuple(r) for r in knn_exact_sparse(rows, q, 5, 4).orderBy("rank").collect()] == [(7, 1, 1, -3), (7, 2, 4, 2)]
+
+
+def test_formulas_read_given_tables(spark, sf):
+    """Storage and overhead come from the tables, in Spark's tasks, and match their SQL."""
+    import duckdb
+
+    from thriftvec import catalog
+
+    for name, t in (("storage_formula", "embeddings"), ("overhead_pct", "conversations")):
+        got = catalog.queries()[name](spark, sf)
+        assert any(f"{t}.parquet" in f for f in got.inputFiles())
+        duck = duckdb.connect()
+        duck.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+        want = duck.sql(catalog.oracle_sql()[name])
+        assert sorted(map(tuple, got.select(*want.columns).collect())) == sorted(want.fetchall())
