@@ -11,6 +11,7 @@ from thriftvec.operators import measures as ms
 from thriftvec.operators import pq
 from thriftvec.operators.exact import knn_exact
 from thriftvec.operators.search import VectorIndex
+from thriftvec.plans.inputs import objects
 
 
 @pytest.fixture(scope="module")
@@ -215,3 +216,59 @@ def test_formulas_read_given_tables(spark, sf):
         duck.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
         want = duck.sql(catalog.oracle_sql()[name])
         assert sorted(map(tuple, got.select(*want.columns).collect())) == sorted(want.fetchall())
+
+
+def test_chunks_cut_each_text_once(spark, sf):
+    plan = lambda d: d._jdf.queryExecution().optimizedPlan().toString()
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang", "source")
+    assert plan(chunk(docs)).count("regexp_extract_all") == 1
+    assert plan(objects(spark, sf)).count("regexp_extract_all") == 1
+    c = chunk(docs).collect()
+    first: dict = {}
+    for r in sorted(c, key=lambda r: r["chunk_id"]):
+        first.setdefault(r["text"], (r["chunk_id"], r["text"], r["lang"], r["source"]))
+    assert sorted(map(tuple, objects(spark, sf).collect()), key=lambda r: r[0]) == sorted(first.values())
+
+
+def test_lloyd_makes_no_rows_of_points_by_codewords(spark):
+    """Whole-number rounds inside tasks equal the relational form; vectors without a distance go to the first codeword."""
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    for scale in (10**6, 10**8):
+        x = rng.integers(-scale, scale, (300, 4))
+        rows = [(i, i % 2, v.tolist()) for i, v in enumerate(x)] + [(900, 0, [1, None, 3, 4]), (901, 1, None), (902, 1, [5, 6])]
+        p = spark.createDataFrame(rows, "node_id long, sub int, x array<long>")
+        b = spark.createDataFrame([(s, c, x[s + 2 * c].tolist()) for s in (0, 1) for c in range(7)], "sub int, code int, centroid array<long>")
+        near = pq.assign(p, b, "long").drop("dist")
+        want: dict = {(r["sub"], r["code"]): list(r["centroid"]) for r in b.collect()}
+        members: dict = {}
+        for r in near.join(p, ["node_id", "sub"]).where("x is not null").collect():
+            members.setdefault((r["sub"], r["code"]), []).append(r["x"])
+        for key, m in members.items():
+            want[key] = [sum(v[i] or 0 for v in m if i < len(v)) // sum(i < len(v) for v in m) for i in range(4)]
+        got = pq.lloyd_fixed(p, b, 1)
+        assert {(r["sub"], r["code"]): list(r["centroid"]) for r in got.collect()} == want
+
+
+def test_single_precision_scan_leaves_few_pairs_to_direct_distances(monkeypatch):
+    import numpy as np
+
+    from thriftvec.operators import exact
+
+    x = np.random.default_rng(4).normal(size=(6000, 32))
+    x[7] = x[8] + 1e-12
+    ids, seen = np.arange(len(x)) * 2, []
+    inner = exact.pairwise
+    monkeypatch.setattr(exact, "pairwise", lambda m, x, c, q, r, *a: (seen.append(len(r)), inner(m, x, c, q, r, *a))[1])
+    best = exact.Best(ids[:400], 9)
+    exact.scan(best, x[:400], ids, x, "l2", True)
+    assert sum(seen) < 400 * 30
+    for i in (0, 7, 8, 399):
+        d = exact.direct_distances("l2", x, x[i])
+        d[i] = np.nan
+        at = exact.nearest_rows(d, ids, 9)
+        assert best.i[i].tolist() == ids[at].tolist() and best.d[i].tolist() == d[at].tolist()
+    big = exact.Best(ids[:5], 2)
+    exact.scan(big, x[:5] * 1e60, ids, x * 1e60, "l2")
+    assert big.i[:, 0].tolist() == ids[:5].tolist()
