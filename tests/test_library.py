@@ -272,3 +272,19 @@ def test_single_precision_scan_leaves_few_pairs_to_direct_distances(monkeypatch)
     big = exact.Best(ids[:5], 2)
     exact.scan(big, x[:5] * 1e60, ids, x * 1e60, "l2")
     assert big.i[:, 0].tolist() == ids[:5].tolist()
+
+
+def test_held_token_counts_are_metered(monkeypatch):
+    """A text that comes again is not cut again; vectors and the meter are the same as without."""
+    from thriftvec.functions import encoders
+
+    texts = ["a b b c", "", None, "a b b c", "D e", "d E", "a b b c"]
+    cut, inner = [], encoders.Encoder.units
+    monkeypatch.setattr(encoders.Encoder, "units", lambda self, t: (cut.append(t), inner(self, t))[1])
+    for kind in ("hash_unit", "hash_int", "hash_ngram", "hash_small"):
+        plain, kept = Encoder(kind, 64), Encoder(kind, 64, held={})
+        want = plain.encode(texts)
+        cut.clear()
+        assert np.array_equal(kept.encode(texts), want) and len(cut) == 4
+        assert np.array_equal(kept.encode(texts), want) and len(cut) == 4
+        assert (kept.meter.objects, kept.meter.bytes, kept.meter.calls) == (14, 2 * plain.meter.bytes, 2)
