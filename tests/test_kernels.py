@@ -155,3 +155,14 @@ def test_every_node_leads_to_every_other():
     off = np.cumsum([0, *map(len, links)])
     nb = np.array([v for a in links for v in a])
     assert all(sum(map(len, kn.waves(off, nb, u))) == 6 for u in range(6))
+
+
+def test_distances_taken_at_once_change_no_links(cloud, monkeypatch):
+    ids, x = cloud[:2]
+    for rule in ("closest", "diverse", "relaxed"):
+        monkeypatch.setattr(kn, "ALL_PAIRS", 0)
+        want = [sorted(a) for a in kn.layered_build(ids, x, cap=8, ef=40, rule=rule).layers[0]]
+        monkeypatch.setattr(kn, "ALL_PAIRS", len(ids) ** 2)
+        assert [sorted(a) for a in kn.layered_build(ids, x, cap=8, ef=40, rule=rule).layers[0]] == want
+    d = kn.all_distances(x.astype(float), x[:70].astype(float), rows=32)
+    assert d == pytest.approx(((x[None, :].astype(float) - x[:70, None]) ** 2).sum(2), abs=1e-9)

@@ -288,3 +288,16 @@ def test_held_token_counts_are_metered(monkeypatch):
         assert np.array_equal(kept.encode(texts), want) and len(cut) == 4
         assert np.array_equal(kept.encode(texts), want) and len(cut) == 4
         assert (kept.meter.objects, kept.meter.bytes, kept.meter.calls) == (14, 2 * plain.meter.bytes, 2)
+
+
+@pytest.mark.parametrize("name", ["hnsw_search"])
+def test_baselines_build_no_other_index(spark, sf, monkeypatch, name):
+    """Their chunks, their graph and the true neighbours are made without the graph of the proposed index."""
+    from thriftvec import catalog
+    from thriftvec.operators.search import VectorIndex
+    from thriftvec.plans import q_search
+
+    monkeypatch.setattr(q_search, "_built", {})
+    monkeypatch.setattr(VectorIndex, "build", lambda *a, **k: pytest.fail("built"))
+    got = catalog.queries()[name](spark, sf).collect()
+    assert len(got) == 40 and all(r["found"] == 3 and r["good"] for r in got)

@@ -18,7 +18,7 @@ from ..functions.encoders import Encoder
 from ..sources.storage import stored
 from . import pq as pqm
 from .exact import matrix, nearest_rows, top_k
-from .kernels import Bounded, _exact, _search_layer, layered_build, waves
+from .kernels import Bounded, _exact, _search_layer, all_distances, layered_build, waves
 
 SHARD = 4096  # objects that one task builds
 SECTOR = 4096  # bytes that a read from disk brings
@@ -30,28 +30,32 @@ _FIELDS = pa.schema([("query_id", pa.int64()), ("node_id", pa.int64()), ("dist",
 def connect(links: list[dict[int, float]], x: np.ndarray, entry: int) -> None:
     """Nodes that cuts have left out of reach get a link from the nearest reachable node; nodes that the entry is out of
     reach of get one to the nearest that reaches it. So every node leads to every other."""
+    xx = np.einsum("ij,ij->i", x, x)
     for back in (False, True):
         ways: list[list[int]] = [[] for _ in links] if back else [list(a) for a in links]
         if back:
             for u, a in enumerate(links):
                 for v in a:
                     ways[v].append(u)
-        seen, todo = {entry}, [entry]
+        seen, todo, lost = {entry}, [entry], 0
+        far = np.full(len(links), np.inf)  # nodes out of reach are no candidates
+        far[entry] = 0
         while True:
             while todo:
                 for v in ways[todo.pop()]:
                     if v not in seen:
                         seen.add(v)
+                        far[v] = 0
                         todo.append(v)
-            lost = next((u for u in range(len(links)) if u not in seen), None)
-            if lost is None:
+            while lost in seen:
+                lost += 1
+            if lost == len(links):
                 break
-            near = np.array(sorted(seen))
-            d = ((x[near] - x[lost]) ** 2).sum(1)
-            i = int(np.argmin(d))
-            u, v = (lost, int(near[i])) if back else (int(near[i]), lost)
-            links[u][v] = float(d[i])
+            near = int(np.argmin(xx - 2 * (x @ x[lost]) + far))
+            u, v = (lost, near) if back else (near, lost)
+            links[u][v] = float(((x[near] - x[lost]) ** 2).sum())
             seen.add(lost)
+            far[lost] = 0
             todo.append(lost)
 
 
@@ -143,17 +147,23 @@ class LayeredIndex:
                 top = int(np.argmin(((x - x.mean(0)) ** 2).sum(1)))
             out = []
             reach = _Reach([list(a) for a in layers[0]]) if ef >= len(ids) else None
-            for q, v in zip(left.column("query_id").to_pylist(), matrix(left.column("qv")).astype(np.float64), strict=True):
+            asked = matrix(left.column("qv")).astype(np.float64)
+            for n, (q, v) in enumerate(zip(left.column("query_id").to_pylist(), asked, strict=True)):
+                if n % 256 == 0 and not reach:
+                    some = all_distances(x, asked[n : n + 256])
+                far = None if reach else some[n % 256]
                 near = [top]
                 for a in range(len(layers) - 1 if entry == "top" else 0, 0, -1):
-                    near = [n for _, n in _search_layer(x, v, layers[a], near, 1)]
+                    near = [u for _, u in _search_layer(x, v, layers[a], near, 1, far)]
                 if reach:
                     found, _ = reach(near[0])
                     d = _exact("l2", v, x[found])
                     out += [(q, int(ids[found[i]]), float(d[i]), 0, 0, 0) for i in nearest_rows(d, ids[found], k)]
                 else:
-                    found = _search_layer(x, v, layers[0], near, ef)
-                    out += [(q, int(ids[n]), d, 0, 0, 0) for d, n in sorted((d, n) for d, n in found)[:k]]
+                    found = _search_layer(x, v, layers[0], near, ef, far)
+                    at_last = np.array([u for _, u in found])
+                    d = _exact("l2", v, x[at_last])  # the order of the answer goes by direct distances
+                    out += [(q, int(ids[at_last[i]]), float(d[i]), 0, 0, 0) for i in nearest_rows(d, ids[at_last], k)]
                 out.append((q, None, None, len(found), 0, 0))
             return _rows(out)
 
@@ -217,7 +227,7 @@ class DiskIndex:
             codes = np.frombuffer(b"".join(code), np.uint8).reshape(len(code), -1)
             sectors = right.column("sector")
             start = int(np.flatnonzero(right.column("entry").to_numpy(zero_copy_only=False))[0])
-            out = []
+            out, held = [], {}
 
             def read(u: int) -> tuple[np.ndarray, np.ndarray]:
                 raw = sectors[u].as_py()
@@ -237,20 +247,25 @@ class DiskIndex:
                     continue
                 table = pqm.adc_table(v.astype(np.float32), book)
                 eq, seen, exact = Bounded(ef), {start}, []
-                eq.offer(float(pqm.adc(table, codes[[start]])[0]), int(ids[start]), start)
+                about = pqm.adc(table, codes).astype(np.float64)
+                eq.offer(float(about[start]), int(ids[start]), start)
                 steps = cheap = 0
                 while batch := eq.take(BEAM):
                     steps += 1
                     new: dict[int, None] = {}
                     for _, key_id, u in batch:
-                        own, nb = read(u)
+                        if u not in held:  # each query counts the read, the bytes are cut into arrays once
+                            held[u] = read(u)
+                        own, nb = held[u]
                         exact.append((float(((own.astype(np.float64) - v) ** 2).sum()), key_id))
                         new |= dict.fromkeys(nb.tolist())
                     fresh = [w for w in new if w not in seen]
                     seen.update(fresh)
                     cheap += len(fresh)
-                    for w, d in zip(fresh, pqm.adc(table, codes[fresh]).tolist() if fresh else [], strict=True):
-                        eq.offer(d, int(ids[w]), w)
+                    most = eq.rows[-1][0] if len(eq.rows) == ef else math.inf
+                    for w, d in zip(fresh, about.take(fresh).tolist() if fresh else [], strict=True):
+                        if d <= most:
+                            eq.offer(d, int(ids[w]), w)
                 out += [(q, i, d, 0, 0, 0) for d, i in sorted(exact)[:k]]
                 out.append((q, None, None, steps, len(exact), cheap))
             return _rows(out)
