@@ -290,7 +290,7 @@ def test_held_token_counts_are_metered(monkeypatch):
         assert (kept.meter.objects, kept.meter.bytes, kept.meter.calls) == (14, 2 * plain.meter.bytes, 2)
 
 
-@pytest.mark.parametrize("name", ["hnsw_search"])
+@pytest.mark.parametrize("name", ["hnsw_search", "disk_graph_search"])
 def test_baselines_build_no_other_index(spark, sf, monkeypatch, name):
     """Their chunks, their graph and the true neighbours are made without the graph of the proposed index."""
     from thriftvec import catalog
